@@ -3,9 +3,15 @@
 from __future__ import annotations
 
 from chunkset.llm.byte_bpe import op2_byte_bpe
+from chunkset.llm.mixing import op9_mixing
+from chunkset.llm.token_counts import op3_token_counts
+from chunkset.llm.warc import op10_warc
 
 QUERIES = {
     "op2_byte_bpe": op2_byte_bpe,
+    "op3_token_counts": op3_token_counts,
+    "op9_mixing": op9_mixing,
+    "op10_warc": op10_warc,
 }
 
 ORACLES: dict[str, str] = {}
