@@ -2,9 +2,9 @@
 
 A source's target over its size is the mean number of copies of each of its documents: the whole part is taken of
 every document, the fraction is an inclusion probability. The flight phase moves these probabilities along the null
-space of two constraints, the number of documents and the number of tokens, until at most two of a block are left
-undecided; what the blocks leave flies again in fewer blocks, until one block a source is left. Of
-that one a dozen documents are landed, on the outcome with the smallest error in tokens.
+space of two constraints, the number of documents and the number of tokens, until at most a dozen of a block are
+left undecided; what the blocks leave flies again in fewer blocks, until one block a source is left. Its last
+dozen are landed, on the outcome with the smallest error in tokens.
 
 Hot sources are dealt over blocks by a hash of the document id. All choices follow from hashes: reruns agree. Null
 text and text without words: size 0 (sampled as the others, with nothing to take). A null source is a source of
@@ -55,14 +55,16 @@ def source_targets(sizes: DataFrame, weights: tuple = WEIGHTS, share: float = SH
 
 
 def fly(p: np.ndarray, size: np.ndarray, u: np.ndarray, land: bool) -> np.ndarray:
-    """Moves the probabilities p of one block, keeping sum(p) and sum(p * size); at most two stay fractional.
+    """Moves the probabilities p of one block, keeping sum(p) and sum(p * size).
 
-    If land, a few units are held back from the flight, and with its last ones get the outcome that is nearest in tokens.
+    HELD units stay out of the flight and at most two of the others stay fractional; if land, these together get the
+    outcome that is nearest in tokens.
     """
     p = p.tolist()
     z = size.tolist()
-    free = [i for i, x in enumerate(p) if EPS < x < 1 - EPS][::-1]
-    held, free = (free[:HELD], free[HELD:]) if land else ([], free)
+    free = sorted((i for i, x in enumerate(p) if EPS < x < 1 - EPS), key=lambda i: (z[i], i))
+    held = free[:: max(1, len(free) // HELD)][-HELD:]  # of every size, so that what remains can make up any sum
+    free = [i for i in free if i not in set(held)]  # the largest fly first
     active: list[int] = []
     draws = iter(u.tolist() * 2)
     while True:
