@@ -24,12 +24,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from chunkset.llm.common import bounded_text, read
+from chunkset.llm.common import Memo, bounded_text, read
 
 #: Unicode White_Space; a cell is a run of it and the run of other characters after it. Every pre-token ends with its cell.
 SPACE = "\t-\r \x85\xa0" + "".join(map(chr, (0x1680, *range(0x2000, 0x200B), 0x2028, 0x2029, 0x202F, 0x205F, 0x3000)))
 CELL = re.compile(f"[{SPACE}]*[^{SPACE}]+|[{SPACE}]+")
-CACHED_CELLS, CACHED_CHARS = 300_000, 64
+CACHED_CELLS, CACHED_PIECES, CACHED_CHARS = 250_000, 600_000, 64
 
 
 def merge_ranked(piece: bytes, ranks: dict[bytes, int]) -> list[int]:
@@ -37,16 +37,15 @@ def merge_ranked(piece: bytes, ranks: dict[bytes, int]) -> list[int]:
     if (whole := ranks.get(piece)) is not None:
         return [whole]
     n = len(piece)
-    following, before = list(range(1, n + 1)), list(range(-1, n))
-    pair = [-1] * n
+    get = ranks.get
+    following, before = list(range(1, n + 1)), list(range(-1, n - 1))
+    pair = [get(piece[i : i + 2], -1) for i in range(n - 1)]
+    pair.append(-1)
     buckets: dict[int, list[int]] = {}
     words: dict[int, int] = {}
     summary = 0
-    get = ranks.get
-    for i in range(n - 1):
-        r = get(piece[i : i + 2])
-        if r is not None:
-            pair[i] = r
+    for i, r in enumerate(pair):
+        if r >= 0:
             if r in buckets:
                 buckets[r].append(i)
             else:
@@ -57,42 +56,43 @@ def merge_ranked(piece: bytes, ranks: dict[bytes, int]) -> list[int]:
     while summary:
         w = (summary & -summary).bit_length() - 1
         bits = words[w]
-        b = (bits & -bits).bit_length() - 1
-        r = w << 6 | b
+        r = w << 6 | (bits & -bits).bit_length() - 1
         bucket = buckets[r]
         i = heappop(bucket)
         if not bucket:
             del buckets[r]
-            bits &= bits - 1
-            words[w] = bits
+            words[w] = bits = bits & (bits - 1)
             if not bits:
                 summary &= summary - 1
         if pair[i] != r:
             continue
         j = following[i]
-        k = following[j]
-        following[i] = k
+        k = following[i] = following[j]
         pair[j] = -1
         if k < n:
             before[k] = i
-            found = ((i, get(piece[i : following[k]])),)
+            pair[i] = r = get(piece[i : following[k]], -1)
+            if r >= 0:
+                if r in buckets:
+                    heappush(buckets[r], i)
+                else:
+                    buckets[r] = [i]
+                    w = r >> 6
+                    words[w] = words.get(w, 0) | 1 << (r & 63)
+                    summary |= 1 << w
         else:
             pair[i] = -1
-            found = ()
-        if (p := before[i]) >= 0:
-            found += ((p, get(piece[p:k])),)
-        for at, new in found:
-            if new is None:
-                pair[at] = -1
-                continue
-            pair[at] = new
-            if new in buckets:
-                heappush(buckets[new], at)
-            else:
-                buckets[new] = [at]
-                w = new >> 6
-                words[w] = words.get(w, 0) | 1 << (new & 63)
-                summary |= 1 << w
+        p = before[i]
+        if p >= 0:
+            pair[p] = r = get(piece[p:k], -1)
+            if r >= 0:
+                if r in buckets:
+                    heappush(buckets[r], p)
+                else:
+                    buckets[r] = [p]
+                    w = r >> 6
+                    words[w] = words.get(w, 0) | 1 << (r & 63)
+                    summary |= 1 << w
     out, i = [], 0
     while i < n:
         out.append(ranks[piece[i : following[i]]])
@@ -101,7 +101,7 @@ def merge_ranked(piece: bytes, ranks: dict[bytes, int]) -> list[int]:
 
 
 class Codec:
-    """Encoder and decoder for one vocabulary; remembers short cells, up to CACHED_CELLS of them."""
+    """Encoder and decoder for one vocabulary; remembers short cells and pieces, up to a bound."""
 
     def __init__(self, path: str, pattern: str):
         import regex
@@ -112,25 +112,28 @@ class Codec:
         for token, i in self.ranks.items():
             self.bytes_of[i] = token
         self.pieces = regex.compile(pattern).findall
-        self.cells: dict[str, bytes] = {}
+        self.by_cell = Memo(CACHED_CELLS, self.encode_cell)
+        self.by_piece = Memo(CACHED_PIECES, self.encode_piece)
+
+    def encode_piece(self, piece: str) -> bytes:
+        return np.array(merge_ranked(piece.encode(), self.ranks), "<u4").tobytes()
 
     def encode_cell(self, cell: str) -> bytes:
-        ids: list[int] = []
+        memo, out = self.by_piece, []
         for piece in self.pieces(cell):
-            ids += merge_ranked(piece.encode(), self.ranks)
-        return np.array(ids, "<u4").tobytes()
+            ids = memo.young.get(piece)
+            if ids is None:
+                ids = memo.find(piece) if len(piece) <= CACHED_CHARS else self.encode_piece(piece)
+            out.append(ids)
+        return b"".join(out)
 
     def encode(self, text: str) -> bytes:
         """Ids as little-endian unsigned 32-bit integers."""
-        known, out = self.cells, []
+        memo, out = self.by_cell, []
         for cell in CELL.findall(text):
-            ids = known.get(cell)
+            ids = memo.young.get(cell)
             if ids is None:
-                ids = self.encode_cell(cell)
-                if len(cell) <= CACHED_CHARS:
-                    if len(known) >= CACHED_CELLS:
-                        known.clear()
-                    known[cell] = ids
+                ids = memo.find(cell) if len(cell) <= CACHED_CHARS else self.encode_cell(cell)
             out.append(ids)
         return b"".join(out)
 

@@ -46,6 +46,23 @@ def bounded_text(col: str = "text"):
     return F.coalesce(F.col(col).cast("binary"), F.lit(b"")).alias(col)
 
 
+class Memo:
+    """A bounded cache of two generations: what was asked for since the last turn survives the next."""
+
+    def __init__(self, most: int, make: Callable):
+        self.most, self.make, self.young, self.old = most, make, {}, {}
+
+    def find(self, key):
+        """For keys that self.young lacks."""
+        value = self.old.get(key)
+        if value is None:
+            value = self.make(key)
+        if len(self.young) >= self.most:
+            self.young, self.old = {}, self.young
+        self.young[key] = value
+        return value
+
+
 def sorted_runs(batches: Iterator[pa.RecordBatch], keys: list[str], at_least: int = 65536) -> Iterator[pa.Table]:
     """Regroups Arrow batches, sorted by keys, into tables that never cut a group of equal keys."""
     held: list[pa.RecordBatch] = []

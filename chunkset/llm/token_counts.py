@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from chunkset.llm.byte_bpe import CELL, vocabulary_path
-from chunkset.llm.common import bounded_text, read
+from chunkset.llm.common import Memo, bounded_text, read
 
 MAX_STATES, CACHED_CELLS, CACHED_CHARS, CHUNK_CHARS = 200_000, 300_000, 64, 1 << 16
 
@@ -117,21 +117,18 @@ class Counter:
         self.special = sorted(special, key=len, reverse=True)
         self.transducer = Transducer(vocab, [(raw(a), raw(b)) for a, b in merges])
         self.pieces = regex.compile(pattern).findall
-        self.cells: dict[str, int] = {}
+        self.by_cell = Memo(CACHED_CELLS, self.cell)
 
     def cell(self, cell: str) -> int:
-        n = sum(self.transducer.count(p.encode()) for p in self.pieces(cell))
-        if len(cell) <= CACHED_CHARS:
-            if len(self.cells) >= CACHED_CELLS:
-                self.cells.clear()
-            self.cells[cell] = n
-        return n
+        return sum(self.transducer.count(p.encode()) for p in self.pieces(cell))
 
     def whole(self, text: str) -> int:
-        known, total = self.cells.get, 0
+        memo, total = self.by_cell, 0
         for cell in CELL.findall(text):
-            n = known(cell)
-            total += self.cell(cell) if n is None else n
+            n = memo.young.get(cell)
+            if n is None:
+                n = memo.find(cell) if len(cell) <= CACHED_CHARS else self.cell(cell)
+            total += n
         return total
 
     def state_map(self, chunk: str) -> tuple[str, int, str] | tuple[str]:
