@@ -2,7 +2,7 @@
 
 A character language model (interpolated trigrams) is counted over all documents. Spans that look disguised, words with
 digits or signs inside, letters set apart, letters repeated, become lattices: each sign may stand for the letters
-that resemble it or for nothing, a repetition for one or two letters, a separator for nothing. The Viterbi path, under
+that resemble it or for nothing, a repetition for one or two letters, a separator for nothing or a space. The Viterbi path, under
 the model and the channel's costs, is the restored span. Restored texts are then scored by a logistic model of telling
 words and word beginnings, which are learned from the labelled rows that aren't held out (at most SAMPLE_ROWS).
 
@@ -28,7 +28,7 @@ from chunkset.llm.quality import held_out, labelled_sample
 SAMPLE_ROWS, FEATURES, BEGINNINGS, SUPPORT = 20_000, 600, (4, 5, 6), 4
 #: Letters that a sign or digit may stand for (fixed values).
 LOOKS = {"0": "o", "1": "il", "2": "z", "3": "e", "4": "a", "5": "s", "6": "g", "7": "t", "8": "b", "9": "g", "@": "a", "$": "s", "!": "il", "|": "il", "+": "t", "€": "e", "(": "c", "*": "aeiou", "#": "h", "¡": "i"}
-SIGN_COST, DROP_COST, DOUBLE_COST = 0.7, 4.0, 1.0
+SIGN_COST, DROP_COST, DOUBLE_COST, SPACE_COST = 0.7, 12.0, 1.0, 3.0
 LETTER = r"[^\W\d_]"
 WORD = re.compile(f"{LETTER}+")
 INSIDE = re.compile(rf"(?:{LETTER}[0-9@$!|+€(*#¡]+(?={LETTER})|(?<!\S)[0-9@$|+€¡]+(?={LETTER}{{2}})|{LETTER}{{2}}[0-9$]+(?![^\s.,;:!?)]))")
@@ -93,9 +93,9 @@ def lattice(span: str) -> list[list[tuple[str, float]]]:
         if c.isalpha():
             out.append([(c, 0.0), (c + c, DOUBLE_COST)] if n > 2 else [(c * n, 0.0)])
         elif c in LOOKS:
-            out.append([(x, SIGN_COST) for x in LOOKS[c]] + [("", DROP_COST)])
+            out.append([(x, SIGN_COST) for x in LOOKS[c]] + [("", DROP_COST if n < 3 else 0.0)])
         else:
-            out.append([("", 0.0)])
+            out.append([("", 0.0), (" ", SPACE_COST)])
         i += n
     return out
 
