@@ -3,8 +3,8 @@
 The direct kinds (email, ip, card, phone) are the protected entities. How much a term tells of an entity is the
 pointwise mutual information of the two over all documents, as a share of the entity's information content: 1 if the
 term never stands without the entity. A term above a first share is generalised to its shape, above a second removed,
-wherever it stands. Evidence counts only where it comes from several distinct contexts of the entity, so that
-copies of one passage don't make all its words telling.
+wherever it stands. Evidence counts only where it comes from several distinct contexts of the entity, none of
+them with over half of it, so that copies of one passage don't make all its words telling.
 
 DataFrame functions only. Null text: the empty text, no spans. Ties in start: the kind listed first. Repeated rows get the same
 spans. Null ids stay null. Extra columns pass through sanitise() unless they carry a name that it adds.
@@ -14,6 +14,7 @@ Empty tables give empty results. Positions are code points, ends exclusive.
 from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from chunkset.llm.common import read, saved
@@ -140,8 +141,8 @@ def telling_terms(docs: DataFrame, found: DataFrame, id_col: str, text_col: str)
     n = docs.count()
     hosts = saved(entities.join(either_way(frequent), "entity"), "entity-hosts")
     pairs = found.filter("terms is not null").select("k1", "k2", "terms").join(either_way(hosts), ["k1", "k2"]).select("entity", "context", "n_e", F.explode("terms").alias("term"))
-    pairs = pairs.groupBy("entity", "n_e", "term", "context").agg(F.count(F.lit(1)).alias("n")).groupBy("entity", "n_e", "term").agg(F.sum("n").alias("n_et"), F.count(F.lit(1)).alias("contexts"))
-    pairs = saved(pairs.filter(F.col("contexts") >= CONTEXTS), "entity-terms")
+    pairs = pairs.groupBy("entity", "n_e", "term", "context").agg(F.count(F.lit(1)).alias("n")).groupBy("entity", "n_e", "term").agg(F.sum("n").alias("n_et"), F.count(F.lit(1)).alias("contexts"), F.max("n").alias("most"))
+    pairs = saved(pairs.filter((F.col("contexts") >= CONTEXTS) & (F.col("most") * 2 <= F.col("n_et"))), "entity-terms")
     among_hosts = found.filter("terms is not null").select(F.explode("terms").alias("term"))
     wanted = pairs.select("term").distinct()
     among_hosts = among_hosts.join(either_way(saved(wanted, "terms-wanted")), "term").groupBy("term").agg(F.count(F.lit(1)).alias("n_hosts"))
@@ -168,21 +169,30 @@ def telling_terms(docs: DataFrame, found: DataFrame, id_col: str, text_col: str)
     return saved(hits.join(known, "term").select("k1", "k2", "term", "share").distinct(), "telling-hits")
 
 
-def term_spans(docs: DataFrame, hits: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    """(k1, k2, term_spans): where the telling terms stand, outside the direct identifiers."""
-    per_doc = saved(hits.groupBy("k1", "k2").agg(F.map_from_entries(F.collect_list(F.struct("term", "share"))).alias("telling")), "telling-documents")
-    rows = keyed(docs, id_col, text_col).select("k1", "k2", text_col).join(either_way(per_doc), ["k1", "k2"]).dropDuplicates(["k1", "k2"])
-    words = F.filter(placed(F.col(text_col), TERM), lambda w: F.map_contains_key("telling", F.lower(w["value"])))
-    base = base_spans(F.col(text_col))
-    apart = F.filter(words, lambda w: ~F.exists(F.col("spans"), lambda s: (s["start"] < w["end"]) & (w["start"] < s["end"])))
-    share = lambda w: F.element_at("telling", F.lower(w["value"]))
-    spans = F.transform(apart, lambda w: F.struct(w["start"].alias("start"), F.lit(len(KINDS)).alias("ord"), F.when(share(w) >= REMOVE, "removed").otherwise("term").alias("kind"), w["end"].alias("end"), w["value"].alias("value")))
-    return saved(rows.withColumn("spans", base).select("k1", "k2", spans.alias("term_spans")), "term-spans")
+def term_spans(docs: DataFrame, found: DataFrame, hits: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """(k1, k2, term_spans): where the telling terms stand, outside the direct identifiers. A word starts where the lengths of all
+    before it, and of the gaps between them, add up to."""
+    wanted = saved(hits.select("k1", "k2").distinct(), "telling-documents")
+    rows = keyed(docs, id_col, text_col).select("k1", "k2", text_col).join(either_way(wanted), ["k1", "k2"]).dropDuplicates(["k1", "k2"])
+    words = F.regexp_extract_all(text_col, F.lit(TERM), F.lit(0))
+    pairs = F.zip_with(F.split(text_col, TERM, -1), words, lambda g, v: F.struct(F.length(g).alias("gap"), v.alias("value")))
+    apart = rows.select("k1", "k2", F.posexplode(pairs).alias("n", "w")).filter("w.value is not null")
+    order = W.partitionBy("k1", "k2").orderBy("n").rowsBetween(W.unboundedPreceding, 0)
+    end = F.sum(F.col("w.gap") + F.length("w.value")).over(order).cast("int")
+    placed_words = apart.select("k1", "k2", F.col("w.value").alias("value"), end.alias("end"), F.lower("w.value").alias("term"))
+    telling = placed_words.join(either_way(hits), ["k1", "k2", "term"])
+    kind = F.when(F.col("share") >= REMOVE, "removed").otherwise("term")
+    span = F.struct((F.col("end") - F.length("value")).alias("start"), F.lit(len(KINDS)).alias("ord"), kind.alias("kind"), "end", "value")
+    per_doc = telling.groupBy("k1", "k2").agg(F.sort_array(F.collect_list(span)).alias("term_spans"))
+    base = found.filter(F.size("spans") > 0).select("k1", "k2", "spans").join(either_way(wanted), ["k1", "k2"]).dropDuplicates(["k1", "k2"])
+    both = per_doc.join(either_way(saved(base, "telling-base")), ["k1", "k2"], "left")
+    outside = F.filter("term_spans", lambda w: ~F.exists(F.coalesce(F.col("spans"), F.array().cast(f"array<{SPAN}>")), lambda s: (s["start"] < w["end"]) & (w["start"] < s["end"])))
+    return saved(both.select("k1", "k2", outside.alias("term_spans")), "term-spans")
 
 
 def all_term_spans(docs: DataFrame, found: DataFrame, id_col: str, text_col: str) -> DataFrame | None:
     hits = telling_terms(docs, found, id_col, text_col)
-    return None if hits is None else term_spans(docs, hits, id_col, text_col)
+    return None if hits is None else term_spans(docs, found, hits, id_col, text_col)
 
 
 def joined(rows: DataFrame, terms: DataFrame | None, spans: Column) -> DataFrame:
