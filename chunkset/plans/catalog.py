@@ -223,13 +223,13 @@ SELECT CAST(w AS BIGINT) AS w, CAST(b AS BIGINT) AS bit FROM w, range(64) t(b) W
 @query(BITS_SQL)
 def extract_bits(spark, sf_dir):
     w = baselines.plain_words(tables.order_sets(spark, sf_dir).filter("set_id = 'ostatus=P'"))
-    return w.select(F.col("widx").cast("long").alias("w"), F.explode(udfs.hb_lowest_bits("word")).cast("long").alias("bit"))
+    return w.select(F.col("widx").cast("long").alias("w"), F.explode(udfs.hb_lowest_bits("word")).alias("bit")).withColumn("bit", F.col("bit").cast("long"))
 
 
 @query(BITS_SQL)
 def extract_bits_native(spark, sf_dir):
     w = baselines.plain_words(tables.order_sets(spark, sf_dir).filter("set_id = 'ostatus=P'"))
-    return w.select(F.col("widx").cast("long").alias("w"), F.explode(F.filter(F.sequence(F.lit(0), F.lit(63)), lambda i: F.expr("1") == F.bit_get("word", i))).cast("long").alias("bit"))
+    return w.select(F.col("widx").cast("long").alias("w"), F.explode(F.filter(F.sequence(F.lit(0), F.lit(63)), lambda i: F.bit_get("word", i) == 1)).alias("bit")).withColumn("bit", F.col("bit").cast("long"))
 
 
 # -- access ------------------------------------------------------------------------------------------------------------
@@ -841,21 +841,23 @@ def stream_sliding(spark, sf_dir):
     return users.window_users(out).select(F.date_format("start", "yyyy-MM-dd HH:mm:ss").alias("start"), "users")
 
 
-@query("WITH a AS (SELECT user_id, ts, CASE WHEN ts < lag(ts) OVER (PARTITION BY user_id ORDER BY ts) + INTERVAL 6 HOUR THEN 0 ELSE 1 END AS brk FROM events), b AS (SELECT *, sum(brk) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS s FROM a), c AS (SELECT user_id, s, min(ts) AS st, max(ts) AS en, count(*) AS n FROM b GROUP BY 1,2) SELECT user_id, CAST(epoch_ms(st) AS BIGINT) AS start_ms, CAST(n AS BIGINT) AS events FROM c WHERE en + INTERVAL 6 HOUR <= (SELECT max(ts) - INTERVAL 1 DAY FROM events)")
+@query("WITH a AS (SELECT user_id, ts, CASE WHEN ts < lag(ts) OVER (PARTITION BY user_id ORDER BY ts) + INTERVAL 6 HOUR THEN 0 ELSE 1 END AS brk FROM events), b AS (SELECT *, sum(brk) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS s FROM a), c AS (SELECT user_id, s, min(ts) AS st, max(ts) AS en, count(*) AS n FROM b GROUP BY 1,2) SELECT user_id, CAST(epoch_us(st) AS BIGINT) AS start_us, CAST(n AS BIGINT) AS events FROM c WHERE en + INTERVAL 6 HOUR <= (SELECT max(ts) - INTERVAL 1 DAY FROM events)")
 def stream_session(spark, sf_dir):
     out = users.run_to_end(users.sessions(users.stream(spark, sf_dir)))
-    return out.select("user_id", F.unix_millis("start").alias("start_ms"), "events")
+    return out.select("user_id", F.unix_micros("start").alias("start_us"), "events")
 
 
 @query("WITH r AS (SELECT *, CAST(ts AS DATE) AS d, (CAST(ts AS DATE) <= DATE '2024-01-20' AND event_id%10<>0) AS early FROM events), k AS (SELECT * FROM r WHERE early OR d + INTERVAL 1 DAY > (SELECT max(ts) - INTERVAL 1 DAY FROM r WHERE early)) SELECT CAST(d AS VARCHAR) AS day, CAST(count(*) AS BIGINT) AS rows_kept FROM k WHERE d + INTERVAL 1 DAY <= (SELECT max(ts) - INTERVAL 1 DAY FROM events) GROUP BY 1")
 def stream_late(spark, sf_dir):
-    """Rows that come in a second batch behind the watermark are dropped, the others counted."""
+    """Rows that come in a later batch behind the watermark are dropped, the others counted."""
     import uuid
 
     e = tables.read_table(spark, sf_dir, "events").withColumn("ts", F.col("ts").cast("timestamp"))
     early = (F.to_date("ts") <= F.lit("2024-01-20").cast("date")) & (F.col("event_id") % 10 != 0)
     base = f"{shared_dir(spark)}/late-{uuid.uuid4().hex}"
-    for i, part in enumerate((e.filter(early), e.filter(~early))):
+    # what is late is judged by the watermark before the last one, so a batch stands between
+    between = ~early & (F.to_date("ts") > F.lit("2024-01-20").cast("date")) & (F.col("event_id") % 2 == 0)
+    for i, part in enumerate((e.filter(early), e.filter(between), e.filter(~early & ~between))):
         part.select("ts").coalesce(1).write.parquet(f"{base}/batch={i}")
     rows = spark.readStream.schema("ts timestamp, batch int").option("maxFilesPerTrigger", 1).parquet(base)
     counted = rows.withWatermark("ts", "1 day").groupBy(F.window("ts", "1 day").alias("w")).agg(F.count(F.lit(1)).alias("rows_kept"))
