@@ -542,7 +542,7 @@ EXPONENTS = (1, 2, 3, 4, 5, 6, 8, 10)
 
 
 def synthetic_sql(dist: str, exponents, seeds=(42,)) -> str:
-    value = "y*{m} // 2147483647" if dist == "uniform" else "((y*y) // 2147483648)*{m} // 2147483647"
+    value = "y*{m} // 2147483647" if dist == "uniform" else "((y*y) // 2147483648)*{m} // 2147483648"
     parts = " UNION ".join(f"SELECT '{dist}-{e}-'||s AS set_id, {value.format(m=100000 << e)} AS id FROM g2" for e in exponents)
     return G1.format(seeds=",".join(f"({s})" for s in seeds)) + f", ids AS (SELECT DISTINCT set_id, id FROM ({parts}))"
 
