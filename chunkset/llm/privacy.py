@@ -236,7 +236,7 @@ def sanitise(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") ->
     terms = all_term_spans(narrow, found, id_col, text_col)
     rows = keyed(docs.withColumnsRenamed({c: f"own_{c}" for c in docs.columns if c in ("k1", "k2", "term_spans", "all_spans")}), id_col, text_col)
     out = joined(rows, terms, base_spans(F.col(text_col))).withColumn(text_col, masked(F.col(text_col), F.col("all_spans")))
-    return out.withColumnsRenamed({f"own_{c}": c for c in docs.columns}).select(*[F.col(f"`{c}`") for c in docs.columns])
+    return out.drop("k1", "k2", "all_spans").withColumnsRenamed({f"own_{c}": c for c in docs.columns}).select(*[F.col(f"`{c}`") for c in docs.columns])
 
 
 def op1_privacy(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -7,7 +7,7 @@ the first by a hash of the id); every text is scored whole.
 
 Null and empty texts have no words and the statistics of an empty text; they get the score that these lead to. A null
 n_chars is taken from the text. Repeated rows score alike. Extra columns pass through, added ones win.
-Without labelled rows every score is 0.5. An empty table gives an empty result.
+Without labelled rows every score is 0.5, with rows of one kind all are of that kind. An empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -96,8 +96,7 @@ def fit(rows: list[tuple[np.ndarray, np.ndarray, int]], seed: int = 1) -> Machin
     m = Machine(0.0, np.zeros(size), rng.normal(0, 0.01, (size, FACTORS)))
     y = np.array([r[2] for r in rows], float)
     if not 0 < y.sum() < len(y):
-        m.w0 = 0.0 if not len(y) else 5.0 * (2 * y[0] - 1)
-        return m
+        return Machine(0.0 if not len(y) else 5.0 * (2 * y[0] - 1), m.w, np.zeros_like(m.v))
     gw, gv, g0 = np.full(size, 1e-6), np.full((size, FACTORS), 1e-6), 1e-6
     for epoch in range(EPOCHS):
         rate = 0.1 / (1 + epoch)

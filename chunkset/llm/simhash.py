@@ -9,14 +9,13 @@ of a bucket is verified on the whole fingerprint.
 
 Large buckets are met block by block, so that no task gets more than two blocks, and what a task finds leaves it
 as a spanning forest, never as all pairs. Null and empty texts, and texts without words, have fingerprint zero and link
-as any other. Rows that repeat a doc_id link with each other. An empty table gives an empty result.
+as any other. Rows that repeat a doc_id link with each other. A null doc_id
+gets its class, but names none unless all of the class are null. An empty table gives an empty result.
 """
 
 from __future__ import annotations
 
-import re
 from collections.abc import Iterator
-from functools import partial
 
 import numpy as np
 import pyarrow as pa
@@ -26,7 +25,6 @@ from pyspark.sql import functions as F
 from chunkset.llm.common import bounded_text, components, into_blocks, read, run_starts, saved, sorted_runs, star_links
 
 BITS, SEED, BLOCK_ROWS, PAIRS_AT_ONCE = 64, 42, 192, 4_000_000
-WORDS = re.compile(rb"[^\x20\x09-\x0D]+")
 
 
 def shingle_hashes(text: bytes, words: int) -> np.ndarray:
@@ -301,5 +299,3 @@ def op8_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = near_duplicates(read(spark, sf_dir, "documents").select("doc_id", "text"), words=3)
     return found.select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
 
-
-keep_first = partial(near_duplicates, words=5)

@@ -24,11 +24,14 @@ def drop_low_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near copies stays: the one with the smallest doc_id (of equal ids, one row)."""
+    """One document of each group of near copies stays: the one with the smallest doc_id (of equal ids, one row).
+
+    Rows without a doc_id can't be told apart by it: they all stay.
+    """
     found = simhash.near_duplicates(docs.select("doc_id", "text"), words=5, distance=DISTANCE)
     kept = found.filter(F.col("doc_id") == F.col("component_id")).select("doc_id").distinct()
-    numbered = docs.select(*COLUMNS).withColumn("row_of_id", F.row_number().over(W.partitionBy("doc_id").orderBy("text", "source", "lang", "n_chars")))
-    return numbered.join(kept, "doc_id").filter("row_of_id = 1").select(*COLUMNS)
+    numbered = docs.filter("doc_id is not null").select(*COLUMNS).withColumn("row_of_id", F.row_number().over(W.partitionBy("doc_id").orderBy("text", "source", "lang", "n_chars")))
+    return numbered.join(kept, "doc_id").filter("row_of_id = 1").select(*COLUMNS).union(docs.filter("doc_id is null").select(*COLUMNS))
 
 
 def hide_personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
