@@ -50,12 +50,16 @@ def apply(aligned: DataFrame, op: str, inplace: bool = False, predict: bool = Tr
     return kernel(aligned.select("pair", "key", "kind_l", "card_l", "payload_l", "kind_r", "card_r", "payload_r"), OUT, work)
 
 
-def pair_op(containers: DataFrame, pairs: DataFrame, op: str, hint: str | None = None, **how) -> DataFrame:
+def pair_op(containers: DataFrame, pairs: DataFrame, op: str, hint: str | None = None, prune: bool = False, **how) -> DataFrame:
     """Containers of op on each pair (pair_id, left_set, right_set); set_id is the pair's id.
 
-    For AND only containers whose key both sides have are shuffled with their payload.
+    prune, for AND on stored containers: keys meet first, without payloads, and only containers whose key both sides have are
+    joined. Worth its extra pass over keys where most chunks of a side have no partner.
     """
     left, right = bind(containers, pairs.withColumnRenamed("left_set", "left"), "left"), bind(containers, pairs.withColumnRenamed("right_set", "right"), "right")
+    if prune and op == "and":
+        keys = small_side(left.select("pair", "key").join(right.select("pair", "key"), ["pair", "key"]))
+        left, right = (side.join(keys, ["pair", "key"], "left_semi") for side in (left, right))
     return apply(align(left, right, op, hint), op, **how)
 
 
@@ -97,10 +101,7 @@ def pair_counts(containers: DataFrame, pairs: DataFrame) -> DataFrame:
 
 def complement(containers: DataFrame, n: int) -> DataFrame:
     """What each set lacks of [0, n). Chunks that a set doesn't touch are whole."""
-    spark = containers.sparkSession
-    chunks = spark.range(-(-n // C.CHUNK)).select(F.col("id").cast("int").alias("key"))
-    sets = containers.select("set_id").distinct()
-    keys = sets.select("set_id", F.explode(F.sequence(F.lit(0), F.lit(-(-n // C.CHUNK) - 1))).alias("key")) if n else sets.join(chunks)
+    keys = containers.select("set_id").distinct().select("set_id", F.explode(F.slice(F.sequence(F.lit(0), F.lit(n >> 16)), 1, -(-n // C.CHUNK))).alias("key"))
     rows = keys.join(containers, ["set_id", "key"], "left")
 
     def flip(r: dict):

@@ -324,6 +324,7 @@ for _op in ("and", "or"):
     register_pairs(f"{_op}_inplace", _op, PAIRS, slots, inplace=True)
     register_pairs(f"{_op}_hash_join", _op, PAIRS, slots, hint="shuffle_hash")
     register_pairs(f"{_op}_merge_join", _op, PAIRS, slots, hint="merge")
+register_pairs("and_pruned", "and", PAIRS, slots, prune=True)
 register_pairs("and_aa_merge", "and", [PAIRS[1], PAIRS[5]], slots, method="merge")
 register_pairs("and_aa_gallop", "and", [PAIRS[2]], slots)
 register_pairs("or_aa_small", "or", [PAIRS[1]], slots)

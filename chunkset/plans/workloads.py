@@ -34,15 +34,15 @@ def sample_pairs(ids: DataFrame, pairs: int = 100, seed: int = 42) -> DataFrame:
     """(pair_id, left_set, right_set): attributes drawn with replacement, then one of each one's sets, by a hash that SQL can repeat."""
     sets = ids.select("set_id").distinct().withColumn("attr", F.substring_index("set_id", "=", 1))
     by_attr = sets.withColumn("v", F.row_number().over(W.partitionBy("attr").orderBy("set_id")) - 1).withColumn("n", F.count(F.lit(1)).over(W.partitionBy("attr")))
-    attrs = sets.select("attr").distinct().withColumn("a", F.row_number().over(W.orderBy("attr")) - 1).withColumn("attrs", F.count(F.lit(1)).over(W.orderBy(F.lit(1)).rowsBetween(W.unboundedPreceding, W.unboundedFollowing)))
-    known = by_attr.join(F.broadcast(attrs), "attr")
+    names = sorted(r["attr"] for r in sets.select("attr").distinct().collect())  # columns of a table: a handful
+    a = F.element_at(F.create_map(*[F.lit(x) for i, n in enumerate(names) for x in (n, i)]), F.col("attr")) if names else F.lit(0)
+    known = by_attr.withColumn("a", a)
     big = 1 << 31
     spark = ids.sparkSession
     h = F.pmod((F.col("id") + 1) * 1103515245 + seed * 12345, F.lit(big))
     h = F.pmod(h.bitwiseXOR(F.shiftright(h, 13)) * 48271, F.lit(big - 1))
     draws = spark.range(2 * pairs).select(F.col("id").alias("i"), h.alias("h"))
-    n_attrs = attrs.select(F.max("attrs").alias("m"))
-    drawn = draws.join(F.broadcast(n_attrs)).select("i", F.expr("h % m").alias("a"), F.expr("h div 97").alias("k"))
+    drawn = draws.select("i", F.expr(f"cast(h % {max(1, len(names))} as int)").alias("a"), F.expr("h div 97").alias("k"))
     chosen = drawn.join(known, "a").filter("v = k % n").select("i", "set_id")
     return chosen.groupBy(F.expr("i div 2").cast("int").alias("pair_id")).agg(F.max(F.when(F.expr("i % 2 = 0"), F.col("set_id"))).alias("left_set"), F.max(F.when(F.expr("i % 2 = 1"), F.col("set_id"))).alias("right_set"))
 
