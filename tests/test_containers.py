@@ -172,8 +172,10 @@ def test_codec_sizes(values):
 
 
 def test_fill_overflow():
-    far = np.array([0, 31 << 26])
-    assert len(R.encode(far, "posfill")) > len(R.encode(far, "fillrun"))
+    """A gap of over 2^25 groups takes one more position-fill word than a shorter one; the other codec's field is longer."""
+    far, near = np.array([0, 31 << 26]), np.array([0, 31 << 20])
+    assert [len(R.encode(x, "posfill")) for x in (near, far)] == [2, 3]
+    assert [len(R.encode(x, "fillrun")) for x in (near, far)] == [3, 3]
 
 
 def test_plain_bitset():
