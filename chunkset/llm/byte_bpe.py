@@ -29,7 +29,7 @@ from chunkset.llm.common import Memo, bounded_text, read
 #: Unicode White_Space; a cell is a run of it and the run of other characters after it. Every pre-token ends with its cell.
 SPACE = "\t-\r \x85\xa0" + "".join(map(chr, (0x1680, *range(0x2000, 0x200B), 0x2028, 0x2029, 0x202F, 0x205F, 0x3000)))
 CELL = re.compile(f"[{SPACE}]*[^{SPACE}]+|[{SPACE}]+")
-CACHED_CELLS, CACHED_PIECES, CACHED_CHARS = 250_000, 600_000, 64
+CACHED_CELLS, CACHED_PIECES, CACHED_CHARS = 120_000, 250_000, 64
 
 
 def merge_ranked(piece: bytes, ranks: dict[bytes, int]) -> list[int]:

@@ -159,10 +159,10 @@ def components(links: DataFrame, u: str = "u", v: str = "v") -> DataFrame:
         for b in batches:
             held.append((b.column(0).to_numpy(), b.column(1).to_numpy()))
             rows += b.num_rows
-            if rows > 2_000_000:
+            if rows > 400_000:
                 held = [star_links(*(np.concatenate(x) for x in zip(*held, strict=True)))]
                 rows = len(held[0][0])
-                if rows > 1_000_000:
+                if rows > 200_000:
                     yield pa.RecordBatch.from_arrays([pa.array(x) for x in held[0]], ["u", "v"])
                     held, rows = [], 0
         if held:

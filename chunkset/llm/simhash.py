@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 
 from chunkset.llm.common import bounded_text, components, into_blocks, read, run_starts, saved, sorted_runs, star_links
 
-BITS, SEED, BLOCK_ROWS, PAIRS_AT_ONCE = 64, 42, 192, 4_000_000
+BITS, SEED, BLOCK_ROWS, PAIRS_AT_ONCE = 64, 42, 192, 400_000
 
 
 def shingle_hashes(text: bytes, words: int) -> np.ndarray:
