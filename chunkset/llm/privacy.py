@@ -4,7 +4,7 @@ The direct kinds (email, ip, card, phone) are the protected entities. How much a
 pointwise mutual information of the two over all documents, as a share of the entity's information content: 1 if the
 term never stands without the entity. A term above a first share is generalised to its shape, above a second removed,
 wherever it stands. Evidence counts only where it comes from several distinct contexts of the entity, none of
-them with over half of it, so that copies of one passage don't make all its words telling.
+them with over half of it, so that copies of one passage don't make all its words telling, and where it is too much for chance.
 
 DataFrame functions only. Null text: the empty text, no spans. Ties in start: the kind listed first. Repeated rows get the same
 spans. Null ids stay null. Extra columns pass through sanitise() unless they carry a name that it adds.
@@ -14,7 +14,6 @@ Empty tables give empty results. Positions are code points, ends exclusive.
 from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame, SparkSession
-from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from chunkset.llm.common import read, saved
@@ -29,8 +28,11 @@ PATTERNS = {
     "phone": r"\+[0-9][\x20().0-9-]+[0-9]",
 }
 BYTE = "0*(?:25[0-5]|2[0-4][0-9]|1[0-9][0-9]|[0-9]{1,2})"
-TERM, TERM_CHARS, CONTEXT_CHARS, CONTEXTS = r"[\p{L}\p{N}]+", 4, 24, 3
+TERM_CHARS, CONTEXT_CHARS, CONTEXTS = 4, 24, 3
 GENERALISE, REMOVE = 0.8, 0.95
+#: Bits by which a term and an entity must stand together beyond chance, over all documents that have both. Millions of rare terms
+#: meet a common entity two or three times by accident, which amounts to some 20 bits.
+EVIDENCE = 40.0
 BROADCAST_ROWS = 50_000
 
 
@@ -63,9 +65,10 @@ def passes(kind: str, value: Column) -> Column:
     return (n >= 10) & (n <= 15)
 
 
-def placed(text: Column, pattern: str) -> Column:
+def placed(text: Column, pattern: str | Column) -> Column:
     """array<struct<start, end, value>> of all matches: between them stand the pieces that a split gives."""
-    found, gaps = F.regexp_extract_all(text, F.lit(pattern), F.lit(0)), F.split(text, pattern, -1)
+    pattern = F.lit(pattern) if isinstance(pattern, str) else pattern
+    found, gaps = F.regexp_extract_all(text, pattern, F.lit(0)), F.split(text, pattern, -1)
     none = F.array().cast("array<struct<start:int,end:int,value:string>>")
 
     def add(acc: Column, x: Column) -> Column:
@@ -150,7 +153,7 @@ def telling_terms(docs: DataFrame, found: DataFrame, id_col: str, text_col: str)
     def share(n_t: Column) -> Column:
         pmi = F.log2(F.col("n_et") * F.lit(float(n)) / (F.col("n_e") * n_t))
         content = F.log2(F.lit(float(n)) / F.col("n_e"))
-        return F.when(content > 0, pmi / content).otherwise(F.lit(0.0))
+        return F.when((content > 0) & (F.col("n_et") * pmi >= EVIDENCE), pmi / content).otherwise(F.lit(0.0))
 
     # documents with entities bound a term's frequency from below, and so its share from above
     bounded = pairs.join(among_hosts, "term").withColumn("bound", share(F.col("n_hosts"))).filter(F.col("bound") >= GENERALISE)
@@ -170,24 +173,19 @@ def telling_terms(docs: DataFrame, found: DataFrame, id_col: str, text_col: str)
 
 
 def term_spans(docs: DataFrame, found: DataFrame, hits: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    """(k1, k2, term_spans): where the telling terms stand, outside the direct identifiers. A word starts where the lengths of all
-    before it, and of the gaps between them, add up to."""
-    wanted = saved(hits.select("k1", "k2").distinct(), "telling-documents")
-    rows = keyed(docs, id_col, text_col).select("k1", "k2", text_col).join(either_way(wanted), ["k1", "k2"]).dropDuplicates(["k1", "k2"])
-    words = F.regexp_extract_all(text_col, F.lit(TERM), F.lit(0))
-    pairs = F.zip_with(F.split(text_col, TERM, -1), words, lambda g, v: F.struct(F.length(g).alias("gap"), v.alias("value")))
-    apart = rows.select("k1", "k2", F.posexplode(pairs).alias("n", "w")).filter("w.value is not null")
-    order = W.partitionBy("k1", "k2").orderBy("n").rowsBetween(W.unboundedPreceding, 0)
-    end = F.sum(F.col("w.gap") + F.length("w.value")).over(order).cast("int")
-    placed_words = apart.select("k1", "k2", F.col("w.value").alias("value"), end.alias("end"), F.lower("w.value").alias("term"))
-    telling = placed_words.join(either_way(hits), ["k1", "k2", "term"])
-    kind = F.when(F.col("share") >= REMOVE, "removed").otherwise("term")
-    span = F.struct((F.col("end") - F.length("value")).alias("start"), F.lit(len(KINDS)).alias("ord"), kind.alias("kind"), "end", "value")
-    per_doc = telling.groupBy("k1", "k2").agg(F.sort_array(F.collect_list(span)).alias("term_spans"))
-    base = found.filter(F.size("spans") > 0).select("k1", "k2", "spans").join(either_way(wanted), ["k1", "k2"]).dropDuplicates(["k1", "k2"])
-    both = per_doc.join(either_way(saved(base, "telling-base")), ["k1", "k2"], "left")
-    outside = F.filter("term_spans", lambda w: ~F.exists(F.coalesce(F.col("spans"), F.array().cast(f"array<{SPAN}>")), lambda s: (s["start"] < w["end"]) & (w["start"] < s["end"])))
-    return saved(both.select("k1", "k2", outside.alias("term_spans")), "term-spans")
+    """(k1, k2, term_spans): where the telling terms stand, outside the direct identifiers. Each document is searched for its own
+    terms, which are letters and digits only, so that they make up a pattern as they are."""
+    per_doc = hits.groupBy("k1", "k2").agg(F.map_from_entries(F.sort_array(F.collect_list(F.struct("term", "share")))).alias("telling"))
+    base = found.filter(F.size("spans") > 0).select("k1", "k2", "spans").dropDuplicates(["k1", "k2"])
+    per_doc = saved(per_doc.join(base, ["k1", "k2"], "left"), "telling-documents")
+    rows = keyed(docs, id_col, text_col).select("k1", "k2", text_col).join(either_way(per_doc), ["k1", "k2"]).dropDuplicates(["k1", "k2"])
+    pattern = F.concat(F.lit(r"(?iu)(?<![\p{L}\p{N}])(?:"), F.array_join(F.map_keys("telling"), "|"), F.lit(r")(?![\p{L}\p{N}])"))
+    share = lambda w: F.element_at("telling", F.lower(w["value"]))
+    words = F.filter(placed(F.col(text_col), pattern), lambda w: share(w).isNotNull())
+    base_or_none = F.coalesce(F.col("spans"), F.array().cast(f"array<{SPAN}>"))
+    outside = F.filter(words, lambda w: ~F.exists(base_or_none, lambda s: (s["start"] < w["end"]) & (w["start"] < s["end"])))
+    spans = F.transform(outside, lambda w: F.struct(w["start"].alias("start"), F.lit(len(KINDS)).alias("ord"), F.when(share(w) >= REMOVE, "removed").otherwise("term").alias("kind"), w["end"].alias("end"), w["value"].alias("value")))
+    return saved(rows.select("k1", "k2", spans.alias("term_spans")), "term-spans")
 
 
 def all_term_spans(docs: DataFrame, found: DataFrame, id_col: str, text_col: str) -> DataFrame | None:
