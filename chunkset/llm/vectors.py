@@ -53,7 +53,7 @@ def sample(rows: DataFrame, most: int = SAMPLE_ROWS) -> np.ndarray:
 # -- additive quantisation ------------------------------------------------------------------------------------------
 
 BOOKS, WORDS, BEAM, NEIGHBOURS = 8, 256, 4, 20
-DATA_ROWS, QUERY_ROWS, RERANKED = 512, 512, 96
+DATA_ROWS, QUERY_ROWS, RERANKED, FIT_ROWS = 512, 512, 96, 1024
 
 
 def nearest_words(x: np.ndarray, words: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
@@ -79,12 +79,16 @@ def fit_codebooks(x: np.ndarray, books: int = BOOKS, words: int = WORDS, rounds:
         left = left - c[nearest_words(left, c, 1)[0][:, 0]]
     found = np.stack(out)
     for _ in range(2):
-        codes = encode(x, found)
-        hot = np.zeros((len(x), books * words))
-        for m in range(books):
-            hot[np.arange(len(x)), m * words + codes[:, m]] = 1
-        gram = hot.T @ hot + 1e-2 * np.eye(books * words)
-        found = np.linalg.solve(gram, hot.T @ x + 1e-2 * found.reshape(books * words, -1)).reshape(found.shape)
+        gram, right = 1e-2 * np.eye(books * words), 1e-2 * found.reshape(books * words, -1)
+        for i in range(0, len(x), FIT_ROWS):
+            part = x[i : i + FIT_ROWS]
+            codes = encode(part, found)
+            hot = np.zeros((len(part), books * words))
+            for m in range(books):
+                hot[np.arange(len(part)), m * words + codes[:, m]] = 1
+            gram += hot.T @ hot
+            right = right + hot.T @ part
+        found = np.linalg.solve(gram, right).reshape(found.shape)
     return found
 
 
