@@ -53,7 +53,7 @@ def sample(rows: DataFrame, most: int = SAMPLE_ROWS) -> np.ndarray:
 # -- additive quantisation ------------------------------------------------------------------------------------------
 
 BOOKS, WORDS, BEAM, NEIGHBOURS = 8, 256, 4, 20
-DATA_ROWS, QUERY_ROWS, RERANKED, FIT_ROWS = 512, 512, 96, 1024
+DATA_ROWS, QUERY_ROWS, RERANKED, FIT_ROWS, STRIPES = 512, 512, 96, 1024, 24
 
 
 def nearest_words(x: np.ndarray, words: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
@@ -141,7 +141,8 @@ def search_block(ids: np.ndarray, x: np.ndarray, codes: np.ndarray, qids: np.nda
 def nearest(df: DataFrame, queries, id_col: str = "vec_id", vector_col: str = "embedding", k: int = NEIGHBOURS, reranked: int = RERANKED) -> DataFrame:
     """(query_id, rank, vec_id, score): for rows that the condition queries picks, the k rows with the largest inner product.
 
-    Queries meet all rows in blocks of both; each pair of blocks is a task's work, its best k leave it.
+    Blocks of queries meet all rows, which are dealt over STRIPES stripes. A task goes through a stripe block by block and keeps the
+    best k so far: what leaves the tasks is k rows a query and stripe, however many rows there are.
     """
     spark = df.sparkSession
     rows = saved(usable(df, id_col, vector_col).filter("id is not null"), "vectors")
@@ -160,26 +161,45 @@ def nearest(df: DataFrame, queries, id_col: str = "vec_id", vector_col: str = "e
                 yield pa.RecordBatch.from_arrays([*part.columns, pa.array([c.tobytes() for c in codes], pa.binary())], ["id", "vec", "codes"])
 
     data_blocks, query_blocks = max(1, -(-n // DATA_ROWS)), max(1, -(-n // (20 * QUERY_ROWS)))
-    to_data = F.explode(F.sequence(F.lit(0), F.lit(query_blocks - 1)))
-    to_query = F.explode(F.sequence(F.lit(0), F.lit(data_blocks - 1)))
-    data = rows.mapInArrow(coded, "id long, vec binary, codes binary").select(to_data.alias("qb"), F.pmod(F.xxhash64("id"), F.lit(data_blocks)).cast("int").alias("db"), F.lit(False).alias("asks"), "id", "vec", "codes")
-    asked = rows.filter(queries(F.col("id"))).select(F.pmod(F.xxhash64("id", F.lit(3)), F.lit(query_blocks)).cast("int").alias("qb"), to_query.alias("db"), F.lit(True).alias("asks"), "id", "vec", F.lit(None).cast("binary").alias("codes"))
-    dealt = data.unionByName(asked).repartition("qb", "db").sortWithinPartitions("qb", "db")
+    to_queries = F.explode(F.sequence(F.lit(0), F.lit(query_blocks - 1)))
+    to_stripes = F.explode(F.sequence(F.lit(0), F.lit(STRIPES - 1)))
+    db = F.pmod(F.xxhash64("id"), F.lit(data_blocks)).cast("int")
+    data = rows.mapInArrow(coded, "id long, vec binary, codes binary").select(to_queries.alias("qb"), F.pmod(db, F.lit(STRIPES)).alias("stripe"), db.alias("db"), "id", "vec", "codes")
+    # queries come first in their stripe, as block -1
+    asked = rows.filter(queries(F.col("id"))).select(F.pmod(F.xxhash64("id", F.lit(3)), F.lit(query_blocks)).cast("int").alias("qb"), to_stripes.alias("stripe"), F.lit(-1).alias("db"), "id", "vec", F.lit(None).cast("binary").alias("codes"))
+    order = ["qb", "stripe", "db"]
+    dealt = data.unionByName(asked).repartition("qb", "stripe").sortWithinPartitions(*order)
+
+    def best_of(parts: list[tuple]) -> tuple:
+        qid, ids, score = (np.concatenate(p) for p in zip(*parts, strict=True))
+        by = np.lexsort((ids, -score, qid))
+        qid, ids, score = qid[by], ids[by], score[by]
+        top = np.arange(len(qid)) - np.searchsorted(qid, qid) < k
+        return qid[top], ids[top], score[top]
 
     def search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for t in sorted_runs(batches, ["qb", "db"], 4 * (DATA_ROWS + QUERY_ROWS)):
-            cuts = run_starts(t.column("qb").to_numpy(), t.column("db").to_numpy())
+        at, asking, found = None, None, []
+        out = lambda: pa.RecordBatch.from_arrays([pa.array(c) for c in best_of(found)], ["query_id", "vec_id", "score"])
+        for t in sorted_runs(batches, order, 4 * (DATA_ROWS + QUERY_ROWS)):
+            cuts = run_starts(*(t.column(c).to_numpy() for c in order))
             for a, b in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True):
                 g = t.slice(a, b - a)
-                asks = g.column("asks").to_numpy(zero_copy_only=False)
-                if asks.all() or not asks.any():
-                    continue
+                qb, stripe, block = (g.column(c)[0].as_py() for c in order)
+                if (qb, stripe) != at:
+                    if found:
+                        yield out()
+                    at, asking, found = (qb, stripe), None, []
                 ids, x = g.column("id").to_numpy(), matrix(g.column("vec"))
-                codes = np.frombuffer(b"".join(g.column("codes").filter(pa.array(~asks)).to_pylist()), np.uint8).reshape(int((~asks).sum()), -1)
-                found = search_block(ids[~asks], x[~asks], codes, ids[asks], x[asks], shared.value, k, reranked)
-                yield pa.RecordBatch.from_arrays([pa.array(c) for c in found], ["query_id", "vec_id", "score"])
-
-    best = dealt.mapInArrow(search, "query_id long, vec_id long, score double")
+                if block < 0:
+                    asking = (ids, x)
+                elif asking:
+                    codes = np.frombuffer(b"".join(g.column("codes").to_pylist()), np.uint8).reshape(len(ids), -1)
+                    found.append(search_block(ids, x, codes, *asking, shared.value, k, reranked))
+                    found = [best_of(found)]
+        if found:
+            yield out()
+
+    best = dealt.select(*order, "id", "vec", "codes").mapInArrow(search, "query_id long, vec_id long, score double")
     rank = F.row_number().over(W.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
     return best.withColumn("rank", rank).filter(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 
