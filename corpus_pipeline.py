@@ -8,11 +8,13 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from chunkset.llm import byte_bpe, mixing, privacy, quality, simhash
+from chunkset.llm import byte_bpe, mixing, near_copies, privacy, quality
 from chunkset.llm.common import read, shared_dir
 
 COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
-#: Fingerprints of five-word shingles in so many bits of which copies may differ.
+#: Near copies share so much of their five-word shingles.
+SIMILARITY = 0.8
+#: No stage reads this any more: the bits in which fingerprints of copies could differ, to which test_pipeline compares.
 DISTANCE = 7
 
 
@@ -26,9 +28,10 @@ def drop_low_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group of near copies stays: the one with the smallest doc_id (of equal ids, one row).
 
+    Groups are what exact links of five-word similarity connect.
     Rows without a doc_id can't be told apart by it: they all stay.
     """
-    found = simhash.near_duplicates(docs.select("doc_id", "text"), words=5, distance=DISTANCE)
+    found = near_copies.near_copies(docs.select("doc_id", "text"), words=5, at_least=SIMILARITY)
     kept = found.filter(F.col("doc_id") == F.col("component_id")).select("doc_id").distinct()
     numbered = docs.filter("doc_id is not null").select(*COLUMNS).withColumn("row_of_id", F.row_number().over(W.partitionBy("doc_id").orderBy("text", "source", "lang", "n_chars")))
     return numbered.join(kept, "doc_id").filter("row_of_id = 1").select(*COLUMNS).union(docs.filter("doc_id is null").select(*COLUMNS))
