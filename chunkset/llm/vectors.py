@@ -9,6 +9,7 @@ Ties go to the smaller vec_id. Equal vectors are compared once. An empty table g
 from __future__ import annotations
 
 from collections.abc import Iterator
+from math import comb
 
 import numpy as np
 import pyarrow as pa
@@ -234,14 +235,28 @@ def binary_codes(x: np.ndarray, mean: np.ndarray, projection: np.ndarray) -> np.
     return np.packbits(full, axis=1, bitorder="little").view(np.int64)[:, 0]
 
 
-def table_plan(n: int, bits: int) -> tuple[int, int]:
-    """(tables, radius): wider keys and nonzero radii as the vectors become more, so that buckets stay small.
+RECALL, MOST_PROBES, LINK_COSINE = 0.995, 80, 0.95
 
-    At a cosine of 0.95 a tenth of the bits differ; each of the plans then meets over 0.93 of the pairs, nearer ones more.
-    """
-    if bits < 32 or n <= 1 << 20:
-        return max(1, bits // 8), 0
-    return (4, 1) if n <= 1 << 33 else (3, 2)
+
+def met_share(bits: int, tables: int, radius: int, cosine: float = LINK_COSINE) -> float:
+    """Expected share of the pairs of a cosine that meet in a table: bits differ independently, each by the angle over pi."""
+    p = float(np.arccos(cosine)) / np.pi
+    widths = np.diff(np.linspace(0, bits, tables + 1).astype(int)).tolist()
+    missed = [1 - sum(comb(w, r) * p**r * (1 - p) ** (w - r) for r in range(min(radius, w) + 1)) for w in widths]
+    return 1 - float(np.prod(missed))
+
+
+def table_plan(n: int, bits: int) -> tuple[int, int]:
+    """(tables, radius): of the plans that are expected to meet RECALL of the pairs at LINK_COSINE, with MOST_PROBES rows a vector at
+    most, the one whose probes meet least. It follows from the code's width alone: the number of vectors n changes nothing."""
+    plans = []
+    for tables in range(1, bits + 1):
+        for radius in range(bits // tables + 1):
+            widths = np.diff(np.linspace(0, bits, tables + 1).astype(int)).tolist()
+            masks = [sum(comb(w, r) for r in range(min(radius, w) + 1)) for w in widths]
+            if met_share(bits, tables, radius) >= RECALL and sum(masks) <= MOST_PROBES:
+                plans.append((sum(m / 2**w for m, w in zip(masks, widths, strict=True)), tables, radius))
+    return min(plans)[1:]
 
 
 def linked(df: DataFrame, id_col: str = "vec_id", vector_col: str = "embedding", at_least: float = 0.95) -> DataFrame:
