@@ -679,8 +679,9 @@ def inverted_t_of_k(spark, sf_dir):
 
 @query(f"WITH {TERM_IDS}, n AS (SELECT set_id, count(*) AS card FROM ids GROUP BY 1) SELECT set_id, CAST(card AS BIGINT) AS card, CAST(rk AS BIGINT) AS rk FROM (SELECT *, rank() OVER (ORDER BY card DESC) AS rk FROM n) WHERE rk<=20")
 def top_sets(spark, sf_dir):
-    counts = access.cardinality(B.build(tables.terms(spark, sf_dir))).orderBy(F.desc("card")).limit(1000)
-    return counts.withColumn("rk", F.rank().over(W.orderBy(F.desc("card"))).cast("long")).filter("rk <= 20")
+    counts = saved(access.cardinality(B.build(tables.terms(spark, sf_dir))), "term-counts")
+    least = counts.orderBy(F.desc("card")).limit(20).agg(F.min("card").alias("least"))
+    return counts.join(F.broadcast(least), F.col("card") >= F.col("least")).drop("least").withColumn("rk", F.rank().over(W.orderBy(F.desc("card"))).cast("long")).filter("rk <= 20")
 
 
 @query("SELECT 'quality='||quality AS set_id, CAST(count(DISTINCT doc_id) AS BIGINT) AS card FROM labels GROUP BY 1 UNION ALL SELECT 'toxic='||toxic, CAST(count(DISTINCT doc_id) AS BIGINT) FROM labels GROUP BY 1")

@@ -16,3 +16,10 @@ def test_probes_reach_the_last_id(spark, tmp_path):
     assert max(i for _, i in want) > 1 << 21
     got = [tuple(r) for r in catalog.contains_many(spark, str(tmp_path)).select("set_id", "id").collect()]
     assert len(got) == len(want) and set(got) == want
+
+
+def test_top_sets_keeps_all_ties(spark, tmp_path):
+    text = " ".join(f"w{i}" for i in range(1500))
+    spark.createDataFrame([(1, text), (2, "w0 w1")], "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    got = {r["set_id"]: (r["card"], r["rk"]) for r in catalog.top_sets(spark, str(tmp_path)).collect()}
+    assert got == {f"w{i}": (2, 1) if i < 2 else (1, 3) for i in range(1500)}
