@@ -235,7 +235,7 @@ def binary_codes(x: np.ndarray, mean: np.ndarray, projection: np.ndarray) -> np.
     return np.packbits(full, axis=1, bitorder="little").view(np.int64)[:, 0]
 
 
-RECALL, MOST_PROBES, LINK_COSINE = 0.995, 80, 0.95
+RECALL, MOST_PROBES, LINK_COSINE = 0.995, 16, 0.95
 
 
 def met_share(bits: int, tables: int, radius: int, cosine: float = LINK_COSINE) -> float:
