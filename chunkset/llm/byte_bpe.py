@@ -24,12 +24,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from chunkset.llm.common import Memo, bounded_text, read
+from chunkset.llm.common import Memo, bounded_text, parts, raw, read
 
 #: Unicode White_Space; a cell is a run of it and the run of other characters after it. Every pre-token ends with its cell.
 SPACE = "\t-\r \x85\xa0" + "".join(map(chr, (0x1680, *range(0x2000, 0x200B), 0x2028, 0x2029, 0x202F, 0x205F, 0x3000)))
 CELL = re.compile(f"[{SPACE}]*[^{SPACE}]+|[{SPACE}]+")
-CACHED_CELLS, CACHED_PIECES, CACHED_CHARS = 120_000, 250_000, 64
+CACHED_BYTES, CACHED_CHARS = 16 << 20, 64
 
 
 def merge_ranked(piece: bytes, ranks: dict[bytes, int]) -> list[int]:
@@ -112,8 +112,8 @@ class Codec:
         for token, i in self.ranks.items():
             self.bytes_of[i] = token
         self.pieces = regex.compile(pattern).findall
-        self.by_cell = Memo(CACHED_CELLS, self.encode_cell)
-        self.by_piece = Memo(CACHED_PIECES, self.encode_piece)
+        self.by_cell = Memo(CACHED_BYTES, self.encode_cell)
+        self.by_piece = Memo(CACHED_BYTES, self.encode_piece)
 
     def encode_piece(self, piece: str) -> bytes:
         return np.array(merge_ranked(piece.encode(), self.ranks), "<u4").tobytes()
@@ -155,11 +155,6 @@ def codec(name: str) -> Codec:
     return Codec(vocabulary_path(name), public_tokenizers.PATTERN)
 
 
-def _texts(column: pa.Array) -> Iterator[str]:
-    for x in column:
-        yield x.as_buffer().to_pybytes().decode("utf-8", "replace") if x.is_valid else ""
-
-
 def _apply(df: DataFrame, text_col: str, added: dict[str, str], per_text, vocabulary: str) -> DataFrame:
     keep = [c for c in df.columns if c != text_col and c not in added]
     schema = ", ".join([f"`{c}` {df.schema[c].dataType.simpleString()}" for c in keep] + [f"{c} {t}" for c, t in added.items()])
@@ -167,23 +162,19 @@ def _apply(df: DataFrame, text_col: str, added: dict[str, str], per_text, vocabu
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         c = codec(vocabulary)
-        for b in batches:
-            rows = [per_text(c, x) for x in b.column(len(keep))]
+        for b in parts(batches, len(keep)):
+            rows = [per_text(c, raw(x)) for x in b.column(len(keep))]
             new = [pa.array([r[i] for r in rows], kinds[t]) for i, t in enumerate(added.values())]
             yield pa.RecordBatch.from_arrays([*b.columns[:-1], *new], [*keep, *added])
 
     return df.select(*[F.col(f"`{c}`") for c in keep], bounded_text(text_col)).mapInArrow(run, schema)
 
 
-def _raw(x: pa.Scalar) -> bytes:
-    return x.as_buffer().to_pybytes() if x.is_valid else b""
-
-
 def encode_texts(df: DataFrame, text_col: str = "text", vocabulary: str = "byte_bpe_50k.tiktoken") -> DataFrame:
     """Every column but the text, n_tokens and token_ids (little-endian unsigned 32-bit integers)."""
 
-    def one(c: Codec, x: pa.Scalar):
-        ids = c.encode(_raw(x).decode("utf-8", "replace"))
+    def one(c: Codec, x: bytes):
+        ids = c.encode(x.decode("utf-8", "replace"))
         return len(ids) // 4, ids
 
     return _apply(df, text_col, {"n_tokens": "long", "token_ids": "binary"}, one, vocabulary)
@@ -191,14 +182,14 @@ def encode_texts(df: DataFrame, text_col: str = "text", vocabulary: str = "byte_
 
 def decode_ids(df: DataFrame, ids_col: str = "token_ids", vocabulary: str = "byte_bpe_50k.tiktoken") -> DataFrame:
     """Every column but the ids, and decoded, the bytes that the ids stand for."""
-    return _apply(df, ids_col, {"decoded": "binary"}, lambda c, x: (c.decode(_raw(x)),), vocabulary)
+    return _apply(df, ids_col, {"decoded": "binary"}, lambda c, x: (c.decode(x),), vocabulary)
 
 
 def round_trip_digests(df: DataFrame, text_col: str = "text", vocabulary: str = "byte_bpe_50k.tiktoken") -> DataFrame:
     """Encodes and decodes in one pass: n_tokens, ids_sha256, decoded_sha256 instead of the text."""
 
-    def one(c: Codec, x: pa.Scalar):
-        ids = c.encode(_raw(x).decode("utf-8", "replace"))
+    def one(c: Codec, x: bytes):
+        ids = c.encode(x.decode("utf-8", "replace"))
         return len(ids) // 4, hashlib.sha256(ids).hexdigest(), hashlib.sha256(c.decode(ids)).hexdigest()
 
     return _apply(df, text_col, {"n_tokens": "long", "ids_sha256": "string", "decoded_sha256": "string"}, one, vocabulary)

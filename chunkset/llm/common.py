@@ -7,9 +7,11 @@ import shutil
 import tempfile
 import uuid
 from collections.abc import Callable, Iterator
+from sys import getsizeof
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -46,20 +48,41 @@ def bounded_text(col: str = "text"):
     return F.coalesce(F.col(col).cast("binary"), F.lit(b"")).alias(col)
 
 
+PART_BYTES, ENTRY_BYTES = 4 << 20, 100
+
+
+def raw(x: pa.Scalar) -> bytes:
+    return x.as_buffer().to_pybytes() if x.is_valid else b""
+
+
+def parts(batches: Iterator[pa.RecordBatch], column: int, most: int = PART_BYTES) -> Iterator[pa.RecordBatch]:
+    """The batches in parts whose binary column holds about so many bytes, one row at least: what is made of a part, and sent back, stays small."""
+    for batch in batches:
+        ends = np.cumsum(pc.fill_null(pc.binary_length(batch.column(column)), 0).to_numpy(zero_copy_only=False), dtype=np.int64)
+        at = 0
+        while at < len(ends):
+            to = max(at + 1, int(np.searchsorted(ends, (ends[at - 1] if at else 0) + most, "right")))
+            yield batch.slice(at, to - at)
+            at = to
+        del batch
+        pa.default_memory_pool().release_unused()
+
+
 class Memo:
-    """A bounded cache of two generations: what was asked for since the last turn survives the next."""
+    """A cache of two generations, each of so many bytes: what was asked for since the last turn survives the next."""
 
-    def __init__(self, most: int, make: Callable):
-        self.most, self.make, self.young, self.old = most, make, {}, {}
+    def __init__(self, most_bytes: int, make: Callable):
+        self.most, self.room, self.make, self.young, self.old = most_bytes, most_bytes, make, {}, {}
 
     def find(self, key):
         """For keys that self.young lacks."""
         value = self.old.get(key)
         if value is None:
             value = self.make(key)
-        if len(self.young) >= self.most:
-            self.young, self.old = {}, self.young
+        if self.room <= 0:
+            self.young, self.old, self.room = {}, self.young, self.most
         self.young[key] = value
+        self.room -= ENTRY_BYTES + getsizeof(key) + getsizeof(value)
         return value
 
 
@@ -188,13 +211,3 @@ def components(links: DataFrame, u: str = "u", v: str = "v") -> DataFrame:
         seen = now
     ends = stars.select(F.col("u").alias("node"), F.col("v").alias("component"))
     return ends.union(stars.select(F.col("v").alias("node"), F.col("v").alias("component")).distinct())
-
-
-def over_texts(spec: dict, per_batch: Callable) -> Callable:
-    """mapInArrow function around per_batch(spec, batch) -> RecordBatch."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            yield per_batch(spec, batch)
-
-    return run

@@ -6,9 +6,10 @@ space of two constraints, the number of documents and the number of tokens, unti
 left undecided; what the blocks leave flies again in fewer blocks, until one block a source is left. Its last
 dozen are landed, on the outcome with the smallest error in tokens.
 
-Hot sources are dealt over blocks by a hash of the document id. All choices follow from hashes: reruns agree. Null
+Hot sources are dealt over blocks by a hash of the document. All choices follow from hashes: reruns agree. Null
 text and text without words: size 0 (sampled as the others, with nothing to take). A null source is a source of
-its own, the last one. Rows that repeat a doc_id are units of their own. An empty table gives an empty result.
+its own, the last one. Rows that repeat a doc_id are units of their own. Rows that agree in id, source and text can't be told
+apart: they are counted, and become units by number, so that no group of them meets in one task. An empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -24,7 +25,7 @@ from pyspark.sql import functions as F
 from chunkset.llm.common import WORD_GAP, read, run_starts, saved, sorted_runs
 
 WEIGHTS, SHARE, MOST = (3, 1, 2), 1.5, 2.0
-BLOCK_ROWS, HELD, BROADCAST_SOURCES = 256, 10, 10_000
+BLOCK_ROWS, HELD, BROADCAST_SOURCES, AT_ONCE = 256, 10, 10_000, 10_000
 EPS = 1e-9
 
 
@@ -97,7 +98,8 @@ def fly(p: np.ndarray, size: np.ndarray, u: np.ndarray, land: bool) -> np.ndarra
 
 
 def flight(units: DataFrame, land: bool) -> DataFrame:
-    """Units (source_no, block, doc_id, size, base, p) with p moved, block by block."""
+    """Units (source_no, block, unit, row_key, doc_id, size, base, p) with p moved, block by block."""
+    kept = ["source_no", "unit", "row_key", "doc_id", "size", "base"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for t in sorted_runs(batches, ["source_no", "block"]):
@@ -106,30 +108,48 @@ def flight(units: DataFrame, land: bool) -> DataFrame:
             cuts = run_starts(source, block)
             for a, b in zip(cuts[:-1], cuts[1:], strict=True):
                 new[a:b] = fly(p[a:b], size[a:b], u[a:b], land)
-            yield from t.select(["source_no", "doc_id", "size", "base"]).append_column("p", pa.array(new)).to_batches()
+            yield from t.select(kept).append_column("p", pa.array(new)).to_batches()
 
-    keyed = units.withColumn("u", F.pmod(F.xxhash64("doc_id", "size", F.lit(7)), F.lit(1 << 30)) / F.lit(float(1 << 30)))
-    dealt = keyed.repartition("source_no", "block").sortWithinPartitions("source_no", "block", "doc_id", "size")
-    return dealt.select("source_no", "block", "doc_id", "size", "base", "p", "u").mapInArrow(run, "source_no long, doc_id long, size long, base long, p double")
+    keyed = units.withColumn("u", F.pmod(F.xxhash64("unit", F.lit(7)), F.lit(1 << 30)) / F.lit(float(1 << 30)))
+    dealt = keyed.repartition("source_no", "block").sortWithinPartitions("source_no", "block", "unit", "size")
+    return dealt.select(*kept, "block", "p", "u").mapInArrow(run, "source_no long, unit long, row_key struct<a:bigint,b:bigint>, doc_id long, size long, base long, p double")
 
 
 def in_blocks(units: DataFrame, level: int, counts: DataFrame) -> DataFrame:
     blocks = F.greatest(F.lit(1), F.ceil(F.col("units") / F.lit(BLOCK_ROWS)))
     few = counts.limit(BROADCAST_SOURCES + 1).count() <= BROADCAST_SOURCES
     dealt = units.join(F.broadcast(counts) if few else counts, "source_no")
-    return dealt.withColumn("block", F.pmod(F.xxhash64("doc_id", F.lit(level)), blocks).cast("long")).drop("units")
+    return dealt.withColumn("block", F.pmod(F.xxhash64("unit", F.lit(level)), blocks).cast("long")).drop("units")
+
+
+def row_key() -> Column:
+    """128 bits of a row's doc_id, source and text."""
+    row = ["doc_id", "source", "text"]
+    nulls = [F.col(c).isNull() for c in row]
+    return F.struct(F.xxhash64(*row, *nulls).alias("a"), F.xxhash64(F.lit(1), *nulls, *reversed(row)).alias("b"))
+
+
+def numbered(rows: DataFrame, count: str) -> DataFrame:
+    """Each row as often as its count says, with its number; large counts are first cut into pieces that go to different tasks."""
+    pieces = rows.withColumn("piece", F.explode(F.sequence(F.lit(0).cast("long"), F.floor((F.col(count) - 1) / AT_ONCE))))
+    large = pieces.filter(F.col(count) > AT_ONCE).repartition("row_key", "piece")
+    first = F.col("piece") * AT_ONCE
+    number = F.explode(F.sequence(first, F.least(first + AT_ONCE, F.col(count)) - 1))
+    return pieces.filter(F.col(count) <= AT_ONCE).unionByName(large).withColumn("number", number).drop("piece", count)
 
 
 def mix(docs: DataFrame, weights: tuple = WEIGHTS, share: float = SHARE, most: float = MOST) -> DataFrame:
-    """(doc_id, size, source_size, target, copies, taken) for each row of (doc_id, source, text)."""
-    sizes = saved(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "source", words().alias("size")), "sizes")
-    targets = saved(source_targets(sizes, weights, share, most), "targets")
+    """(doc_id, size, source_size, target, copies, taken, row_key) for each row of (doc_id, source, text)."""
+    sizes = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "source", words().alias("size"), row_key().alias("row_key"))
+    sizes = saved(sizes.groupBy("row_key", "doc_id", "source", "size").agg(F.count(F.lit(1)).alias("alike")), "sizes")
+    targets = saved(source_targets(sizes.select("source", (F.col("size") * F.col("alike")).alias("size")), weights, share, most), "targets")
     few = targets.limit(BROADCAST_SOURCES + 1).count() <= BROADCAST_SOURCES
     t = targets.withColumnRenamed("source", "of")
     units = sizes.join(F.broadcast(t) if few else t, F.col("source").eqNullSafe(F.col("of")))
     ratio = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(0.0)
     whole = F.floor(ratio + F.lit(EPS))
-    units = units.select("source_no", "doc_id", "size", whole.cast("long").alias("base"), F.greatest(F.lit(0.0), ratio - whole).alias("p"))
+    units = units.select("source_no", "row_key", "doc_id", "size", "alike", whole.cast("long").alias("base"), F.greatest(F.lit(0.0), ratio - whole).alias("p"))
+    units = numbered(units, "alike").withColumn("unit", F.xxhash64("row_key", "number")).drop("number")
     fractional = (F.col("p") > EPS) & (F.col("p") < 1 - EPS)
     decided = [units.filter(~fractional)]
     left, level = units.filter(fractional), 0
@@ -147,18 +167,24 @@ def mix(docs: DataFrame, weights: tuple = WEIGHTS, share: float = SHARE, most: f
         rows = rows.unionByName(d)
     copies = (F.col("base") + F.round("p")).cast("long")
     t = targets.select("source_no", "source_size", "target")
-    return rows.join(F.broadcast(t) if few else t, "source_no").select("doc_id", "size", "source_size", "target", copies.alias("copies"), (F.col("size") * copies).alias("taken"))
+    return rows.join(F.broadcast(t) if few else t, "source_no").select("doc_id", "size", "source_size", "target", copies.alias("copies"), (F.col("size") * copies).alias("taken"), "row_key")
 
 
 def mixed_rows(docs: DataFrame) -> DataFrame:
-    """The mix itself: every row of docs as often as it is taken, with docs' columns."""
-    number = F.row_number().over(W.partitionBy("doc_id").orderBy("text", "source"))
-    lists = mix(docs).groupBy(F.col("doc_id").alias("mixed_id")).agg(F.sort_array(F.collect_list("copies")).alias("copies_of"))
-    numbered = docs.withColumn("row_of_id", number)
-    joined = numbered.join(lists, F.col("doc_id").cast("long").eqNullSafe(F.col("mixed_id")))
-    times = F.element_at("copies_of", F.col("row_of_id"))
-    return joined.filter(times > 0).withColumn("copy_no", F.explode(F.sequence(F.lit(1), times.cast("int")))).select(*[F.col(f"`{c}`") for c in docs.columns])
+    """The mix itself: every row of docs as often as it is taken, with docs' columns.
+
+    Of rows that can't be told apart each comes as often as the least taken of them, and one stands for what the others are taken beyond that.
+    """
+    picks = mix(docs.select("doc_id", "source", "text")).groupBy("row_key").agg(F.min("copies").alias("least"), F.sum("copies").alias("total"), F.count(F.lit(1)).alias("alike"))
+    picks = saved(picks.select("row_key", "least", (F.col("total") - F.col("least") * F.col("alike")).alias("extra")), "picks")
+    keyed = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), row_key().alias("row_key"))
+    out = keyed.join(picks.filter("least > 0").select("row_key", "least"), "row_key").select("row", F.explode(F.sequence(F.lit(1).cast("long"), F.col("least")))).select("row")
+    beyond = picks.filter("extra > 0").select("row_key", "extra")
+    if not beyond.isEmpty():
+        one = keyed.join(beyond, "row_key").groupBy("row_key").agg(F.first("row").alias("row"), F.first("extra").alias("extra"))
+        out = out.unionByName(numbered(one, "extra").select("row"))
+    return out.select("row.*")
 
 
 def op9_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return mix(read(spark, sf_dir, "documents").select("doc_id", "source", "text"))
+    return mix(read(spark, sf_dir, "documents").select("doc_id", "source", "text")).drop("row_key")

@@ -22,9 +22,10 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from chunkset.llm.common import Memo, bounded_text, read, saved
+from chunkset.llm.common import Memo, bounded_text, parts, raw, read, saved
 
 SAMPLE_ROWS, BUCKETS, FACTORS, EPOCHS, BATCH = 8_000, 1 << 16, 8, 4, 128
+CACHED_BYTES = 16 << 20
 STATISTICS = ("bias", "length", "word_length", "distinct", "upper", "digit", "mark", "symbol", "line", "repeat", "top", "declared")
 
 
@@ -47,7 +48,7 @@ class Reader:
     """Turns texts into features; remembers the buckets of words."""
 
     def __init__(self):
-        self.memo = Memo(400_000, bucket)
+        self.memo = Memo(CACHED_BYTES, bucket)
 
     def features(self, text: bytes, declared: int | None) -> tuple[np.ndarray, np.ndarray]:
         words = text.split()
@@ -86,7 +87,8 @@ def statistics(text: bytes, n: int, tf: np.ndarray, words: list[bytes], declared
 
 
 def held_out(id_col: str = "doc_id") -> Column:
-    return F.pmod(F.crc32(F.col(id_col).cast("string").cast("binary")), F.lit(3)) == 1
+    """A null id isn't held out."""
+    return F.coalesce(F.pmod(F.crc32(F.col(id_col).cast("string").cast("binary")), F.lit(3)) == 1, F.lit(False))
 
 
 def fit(rows: list[tuple[np.ndarray, np.ndarray, int]], seed: int = 1) -> Machine:
@@ -127,14 +129,14 @@ def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, rows: int =
     """docs with the column label, for at most so many labelled rows that aren't held out. The sample's ids are few: they are broadcast."""
     wanted = labels.filter(F.col(label).isNotNull() & F.col("doc_id").isNotNull() & ~held_out()).groupBy("doc_id").agg(F.max(label).cast("int").alias("label_is"))
     wanted = saved(wanted.orderBy(F.xxhash64("doc_id", F.lit(2)), "doc_id").limit(rows), "labelled")
-    return docs.join(F.broadcast(wanted), "doc_id")
+    return docs.drop("label_is").join(F.broadcast(wanted), "doc_id")
 
 
 def train(docs: DataFrame, labels: DataFrame, label: str = "quality", sample_rows: int = SAMPLE_ROWS) -> Machine:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         reader = Reader()
-        for b in batches:
-            made = [reader.features(t.as_buffer().to_pybytes(), d) for t, d in zip(b.column(0), b.column(1).to_pylist(), strict=True)]
+        for b in parts(batches, 0):
+            made = [reader.features(raw(t), d) for t, d in zip(b.column(0), b.column(1).to_pylist(), strict=True)]
             at, x = ([np.asarray(m[i], t).tobytes() for m in made] for i, t in ((0, np.int32), (1, np.float32)))
             yield pa.RecordBatch.from_arrays([b.column(3), pa.array(at, pa.binary()), pa.array(x, pa.binary()), b.column(2)], ["doc_id", "at", "x", "y"])
 
@@ -144,21 +146,24 @@ def train(docs: DataFrame, labels: DataFrame, label: str = "quality", sample_row
     return fit(rows)
 
 
-def score(docs: DataFrame, machine: Machine, text_col: str = "text") -> DataFrame:
-    """docs without the text, with score: the probability of a good text."""
-    keep = [c for c in docs.columns if c not in (text_col, "score", "n_chars")]
-    schema = ", ".join([f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in keep] + ["score double"])
+def score(docs: DataFrame, machine: Machine, text_col: str = "text", with_text: bool = False) -> DataFrame:
+    """docs without the text and n_chars, with score: the probability of a good text. with_text: with all of docs' columns."""
+    keep = [c for c in docs.columns if c not in (text_col, "score") and (with_text or c != "n_chars")]
+    schema = ", ".join([f"`{c}` {docs.schema[c].dataType.simpleString()}" for c in keep] + [f"`{text_col}` binary"] * with_text + ["score double"])
     shared = docs.sparkSession.sparkContext.broadcast((machine.w0, machine.w.astype(np.float32), machine.v.astype(np.float32)))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        m, reader = Machine(*shared.value), Reader()
-        for b in batches:
-            margins = [m.margin(*reader.features(t.as_buffer().to_pybytes(), d)) for t, d in zip(b.column(len(keep)), b.column(len(keep) + 1).to_pylist(), strict=True)]
+        m, reader, at = Machine(*shared.value), Reader(), len(keep)
+        for b in parts(batches, at):
+            margins = [m.margin(*reader.features(raw(t), d)) for t, d in zip(b.column(at), b.column(at + 1).to_pylist(), strict=True)]
             p = 1 / (1 + np.exp(-np.clip(np.array(margins, float), -30, 30)))
-            yield pa.RecordBatch.from_arrays([*b.columns[:-2], pa.array(p)], [*keep, "score"])
+            yield pa.RecordBatch.from_arrays([*b.columns[: at + with_text], pa.array(p)], [*keep, *[text_col] * with_text, "score"])
 
     declared = F.col("n_chars").cast("long") if "n_chars" in docs.columns else F.lit(None).cast("long")
-    return docs.select(*[F.col(f"`{c}`") for c in keep], bounded_text(text_col), declared.alias("n_chars")).mapInArrow(run, schema)
+    scored = docs.select(*[F.col(f"`{c}`") for c in keep], F.col(f"`{text_col}`").cast("binary").alias(text_col), declared.alias("declared")).mapInArrow(run, schema)
+    if not with_text:
+        return scored
+    return scored.select(*[(F.col(f"`{c}`").cast("string") if c == text_col else F.col(f"`{c}`")).alias(c) for c in docs.columns if c != "score"], "score")
 
 
 def op5_quality(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -6,10 +6,12 @@ it, the last token of the encoding up to there and that encoding's token count r
 further back can matter. A transition carries the number of tokens by which the encoding grows (or shrinks). States
 and transitions are compiled when first met, and kept up to a bound.
 
-A text is read in chunks. The count of a chunk depends on where the previous one stopped only through the chunk's
-head, up to the first place where white space follows another character, as a pre-token always ends there. So the
-state map of a chunk is (head, count of its inside, tail), and maps compose associatively: a prefix scan gives the
-count up to every chunk's end, in one task or, for texts spread over many tasks, after a join of their small maps.
+A text is read in chunks. Between two characters the state is that of the pre-token pattern (in a run of letters, digits, other
+signs or white space, or after the start of a contraction), what it holds back for want of a next character, and the transducer's own. A
+chunk's state map takes a state before the chunk to the state after it and the tokens that come in between; it is worked out for the
+states that are asked for, and no further than to the first place at which all of them agree, where white space follows another character.
+Maps compose, so a prefix scan gives the count up to every chunk's end. Texts spread over many tasks send only states: each chunk
+is read from the start state and from the states that the chunk before it may end in, until no new ones come up.
 
 Null text: the empty text, 0 tokens. Special strings of the vocabulary inside a text are one token each, as the
 library treats them by default. Repeated rows are counted again; extra columns pass through, added ones win.
@@ -18,17 +20,33 @@ library treats them by default. Repeated rows are counted again; extra columns p
 from __future__ import annotations
 
 import json
+import pickle
 from collections.abc import Iterator
 from functools import lru_cache
+from typing import NamedTuple
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from chunkset.llm.byte_bpe import CELL, vocabulary_path
-from chunkset.llm.common import Memo, bounded_text, read
+from chunkset.llm.common import Memo, bounded_text, parts, raw, read, saved
 
-MAX_STATES, CACHED_CELLS, CACHED_CHARS, CHUNK_CHARS = 200_000, 300_000, 64, 1 << 16
+MAX_STATES, CACHED_BYTES, CACHED_CHARS, CHUNK_CHARS = 200_000, 24 << 20, 64, 1 << 16
+INNER = (b"", ((-1, 0),))
+CLASSES = {"L": r"\p{L}", "N": r"\p{N}", "P": r"[^\s\p{L}\p{N}]"}
+
+
+class State(NamedTuple):
+    """kind: L, N, P in a run of letters, digits or other signs; W in white space; empty between pre-tokens. held: characters that wait for the
+    next one, the last white space or the start of a contraction. inner: the transducer's state inside the pre-token."""
+
+    kind: str = ""
+    held: str = ""
+    inner: tuple = INNER
+
+
+START = State()
 
 
 def printable_bytes() -> dict[str, int]:
@@ -47,8 +65,7 @@ class Transducer:
         self.clear()
 
     def clear(self) -> None:
-        start = (b"", ((-1, 0),))
-        self.states, self.number, self.step = [start], {start: 0}, {}
+        self.states, self.number, self.step = [INNER], {INNER: 0}, {}
 
     def encode(self, piece: bytes) -> list[int]:
         """Plain merging, for short strings: what the transducer is compiled from."""
@@ -90,17 +107,66 @@ class Transducer:
         self.step[state << 8 | byte] = packed = target << 10 | (grows + 512)
         return packed
 
-    def count(self, piece: bytes) -> int:
+    def feed(self, inner: tuple, piece: bytes) -> tuple[tuple, int]:
+        """The state after a further piece of a pre-token, and the tokens that it adds."""
         if len(self.states) > MAX_STATES:
             self.clear()
-        get, state, total = self.step.get, 0, 0
+        state = self.number.setdefault(inner, len(self.states))
+        if state == len(self.states):
+            self.states.append(inner)
+        get, total = self.step.get, 0
         for byte in piece:
             e = get(state << 8 | byte)
             if e is None:
                 e = self.compile(state, byte)
             state = e >> 10
             total += (e & 1023) - 512
-        return total
+        return self.states[state], total
+
+    def count(self, piece: bytes) -> int:
+        return self.feed(INNER, piece)[1]
+
+
+class Chunk:
+    """The state map of a chunk, for the states that at() is asked for."""
+
+    def __init__(self, counter: Counter, text: str):
+        cells = CELL.finditer(text)
+        next(cells, None)
+        cut = next((m.start() for m in cells), None)
+        self.counter, self.known = counter, {}
+        self.head, self.rest = (text, None) if cut is None else (text[:cut], text[cut:])
+        self.after: tuple[State, int] | None = None  # of the rest, which starts between pre-tokens whatever came before
+
+    def at(self, state: State) -> tuple[State, int]:
+        if state not in self.known:
+            end, n = self.counter.advance(state, self.head)
+            if self.rest is not None:
+                self.after = self.after or self.counter.advance(START, self.rest)
+                end, n = self.after[0], n + self.counter.left_over(end) + self.after[1]
+            self.known[state] = end, n
+        return self.known[state]
+
+
+class Composed:
+    """The state map of two chunks, or runs of chunks, one after the other."""
+
+    def __init__(self, first: Chunk | Composed, second: Chunk | Composed):
+        self.first, self.second, self.known = first, second, {}
+
+    def at(self, state: State) -> tuple[State, int]:
+        if state not in self.known:
+            between, n = self.first.at(state)
+            end, more = self.second.at(between)
+            self.known[state] = end, n + more
+        return self.known[state]
+
+
+class Known:
+    """A state map that is given as a table."""
+
+    def __init__(self, known: dict[State, tuple[State, int]]):
+        self.at = known.__getitem__
 
 
 class Counter:
@@ -117,7 +183,9 @@ class Counter:
         self.special = sorted(special, key=len, reverse=True)
         self.transducer = Transducer(vocab, [(raw(a), raw(b)) for a, b in merges])
         self.pieces = regex.compile(pattern).findall
-        self.by_cell = Memo(CACHED_CELLS, self.cell)
+        self.white = regex.compile(r"\s*")
+        self.runs = {kind: regex.compile(f"{c}*") for kind, c in CLASSES.items()}
+        self.by_cell = Memo(CACHED_BYTES, self.cell)
 
     def cell(self, cell: str) -> int:
         return sum(self.transducer.count(p.encode()) for p in self.pieces(cell))
@@ -126,47 +194,84 @@ class Counter:
         memo, total = self.by_cell, 0
         for cell in CELL.findall(text):
             n = memo.young.get(cell)
-            if n is None:
-                n = memo.find(cell) if len(cell) <= CACHED_CHARS else self.cell(cell)
-            total += n
+            total += self.count_cell(cell) if n is None else n
         return total
 
-    def state_map(self, chunk: str) -> tuple[str, int, str] | tuple[str]:
-        """(head, count inside, tail), or just the chunk if no pre-token is sure to end in it."""
-        cuts = [m.start() for m in CELL.finditer(chunk)][1:]
-        if not cuts:
-            return (chunk,)
-        return chunk[: cuts[0]], self.whole(chunk[cuts[0] : cuts[-1]]), chunk[cuts[-1] :]
-
-    def compose(self, a: tuple, b: tuple) -> tuple:
-        if len(a) == 1 and len(b) == 1:
-            return self.state_map(a[0] + b[0])
-        if len(a) == 1:
-            head = self.state_map(a[0] + b[0])
-            return (head[0], b[1], b[2]) if len(head) == 1 else (head[0], head[1] + self.whole(head[2]) + b[1], b[2])
-        if len(b) == 1:
-            tail = self.state_map(a[2] + b[0])
-            return (a[0], a[1], tail[0]) if len(tail) == 1 else (a[0], a[1] + self.whole(tail[0]) + tail[1], tail[2])
-        return a[0], a[1] + self.whole(a[2] + b[0]) + b[1], b[2]
-
-    def scan(self, maps: list[tuple]) -> list[tuple]:
+    def advance(self, state: State, text: str) -> tuple[State, int]:
+        """The state after a further piece of a text, and the tokens that it adds, those of an unfinished pre-token included."""
+        n = 0
+        if state.kind in self.runs:
+            run = self.runs[state.kind].match(text).group()
+            inner, n = self.transducer.feed(state.inner, run.encode())
+            if len(run) == len(text):
+                return State(state.kind, "", inner), n
+            text = text[len(run) :]
+        elif state.kind == "W":
+            run = state.held + self.white.match(text).group()
+            text = text[len(run) - 1 :]
+            inner, n = self.transducer.feed(state.inner, run[:-1].encode())
+            if not text:
+                return State("W", run[-1], inner), n
+            if run[-1] == " ":  # goes with what follows
+                text = " " + text
+            else:
+                n += self.cell(run[-1])
+        else:
+            text = state.held + text
+        if not text:
+            return START, n
+        cells = CELL.findall(text)
+        n += sum(map(self.count_cell, cells[:-1]))
+        *closed, last = self.pieces(cells[-1])
+        held = ""
+        if last == "'":
+            held = last
+        elif last in ("r", "v", "l") and closed and closed[-1] == "'":
+            held = closed.pop() + last
+        n += sum(self.transducer.count(p.encode()) for p in closed)
+        if held:
+            return State("", held), n
+        if self.white.fullmatch(last):
+            inner, more = self.transducer.feed(INNER, last[:-1].encode())
+            return State("W", last[-1], inner), n + more
+        inner, more = self.transducer.feed(INNER, last.encode())
+        if last[0] == "'" and self.runs["L"].fullmatch(last, 1) and len(last) > 1:  # a whole contraction
+            return START, n + more
+        kind = next(k for k, run in self.runs.items() if run.fullmatch(last[-1]))
+        return State(kind, "", inner), n + more
+
+    def left_over(self, state: State) -> int:
+        """Tokens that the text's end, or white space after another character, adds."""
+        if state.kind == "W":
+            return self.transducer.feed(state.inner, state.held.encode())[1]
+        return self.cell(state.held)
+
+    def count_cell(self, cell: str) -> int:
+        n = self.by_cell.young.get(cell)
+        if n is None:
+            n = self.by_cell.find(cell) if len(cell) <= CACHED_CHARS else self.cell(cell)
+        return n
+
+    def state_map(self, chunk: str) -> Chunk:
+        return Chunk(self, chunk)
+
+    def scan(self, maps: list) -> list:
         """Composition of the first 1, 2, ... maps, in log2(n) rounds of independent compositions."""
         out, gap = list(maps), 1
         while gap < len(out):
-            out = [self.compose(out[i - gap], x) if i >= gap else x for i, x in enumerate(out)]
+            out = [Composed(out[i - gap], x) if i >= gap else x for i, x in enumerate(out)]
             gap *= 2
         return out
 
-    def closed(self, m: tuple) -> int:
-        return self.whole(m[0]) if len(m) == 1 else self.whole(m[0]) + m[1] + self.whole(m[2])
+    def closed(self, state_map) -> int:
+        """Tokens of a text with this map."""
+        end, n = state_map.at(START)
+        return n + self.left_over(end)
 
     def segment(self, text: str, chunk_chars: int) -> int:
         if len(text) <= chunk_chars:
             return self.whole(text)
-        maps = [self.state_map(text[i : i + chunk_chars]) for i in range(0, len(text), chunk_chars)]
-        while len(maps) > 1:  # only the total is asked for: the scan's last value, by a tree
-            maps = [self.compose(*maps[i : i + 2]) if i + 1 < len(maps) else maps[i] for i in range(0, len(maps), 2)]
-        return self.closed(maps[0])
+        return self.closed(self.scan([self.state_map(text[i : i + chunk_chars]) for i in range(0, len(text), chunk_chars)])[-1])
 
     def split_special(self, text: str) -> tuple[list[str], int]:
         parts, n = [text], 0
@@ -195,10 +300,10 @@ def count_tokens(df: DataFrame, text_col: str = "text", vocabulary: str = "byte_
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         c = counter(vocabulary)
-        for b in batches:
-            raw = [x.as_buffer() for x in b.column(len(keep))]
-            counts = [c.count(x.to_pybytes().decode("utf-8", "replace"), chunk_chars) for x in raw]
-            yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.array([x.size for x in raw], pa.int64()), pa.array(counts, pa.int64())], [*keep, "n_bytes", "n_tokens"])
+        for b in parts(batches, len(keep)):
+            texts = [raw(x) for x in b.column(len(keep))]
+            counts = [c.count(x.decode("utf-8", "replace"), chunk_chars) for x in texts]
+            yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.array(map(len, texts), pa.int64()), pa.array(counts, pa.int64())], [*keep, "n_bytes", "n_tokens"])
 
     counted = df.select(*[F.col(f"`{c}`") for c in keep], bounded_text(text_col)).mapInArrow(run, schema)
     return counted.withColumn("over_limit", F.col("n_tokens") > limit)
@@ -207,30 +312,35 @@ def count_tokens(df: DataFrame, text_col: str = "text", vocabulary: str = "byte_
 def running_counts(df: DataFrame, id_col: str, text_col: str = "text", vocabulary: str = "byte_bpe_50k.json", chunk_chars: int = CHUNK_CHARS) -> DataFrame:
     """(id, chunk, end_char, tokens): for each chunk of each text, the tokens of the text cut after that chunk.
 
-    Chunks of one text are read by different tasks; only their state maps meet. id_col must be unique. A text with
-    special strings is refused here (its segments have no running count of their own).
+    Chunks of one text are read by different tasks; only states and counts meet. id_col must be unique. A special string counts as the
+    plain text that it is.
     """
     text = F.coalesce(F.col(text_col), F.lit(""))
     pieces = df.select(F.col(id_col).alias("id"), text.alias("text")).select("id", "text", F.explode(F.sequence(F.lit(0), F.greatest(F.lit(0), F.floor((F.length("text") - 1) / chunk_chars)).cast("int"))).alias("chunk"))
-    pieces = pieces.select("id", "chunk", F.substr("text", F.col("chunk") * chunk_chars + 1, F.lit(chunk_chars)).alias("piece"), F.least(F.length("text"), (F.col("chunk") + 1) * chunk_chars).alias("end_char"))
+    pieces = saved(pieces.select("id", "chunk", F.substr("text", F.col("chunk") * chunk_chars + 1, F.lit(chunk_chars)).alias("piece"), F.least(F.length("text"), (F.col("chunk") + 1) * chunk_chars).alias("end_char")), "text-chunks")
+    kind = df.schema[id_col].dataType.simpleString()
 
-    def maps(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def read_chunks(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         c = counter(vocabulary)
         for b in batches:
-            found = [c.state_map(x) for x in b.column("piece").to_pylist()]
-            cols = [pa.array([m[0] for m in found]), pa.array([m[1] if len(m) > 1 else None for m in found], pa.int64()), pa.array([m[2] if len(m) > 1 else None for m in found], pa.string())]
-            yield pa.RecordBatch.from_arrays([b.column("id"), b.column("chunk"), b.column("end_char"), *cols], ["id", "chunk", "end_char", "head", "inside", "tail"])
+            ends = [c.state_map(x).at(pickle.loads(s)) for x, s in zip(b.column("piece").to_pylist(), b.column("entry").to_pylist(), strict=True)]
+            yield pa.RecordBatch.from_arrays([b.column("id"), b.column("chunk"), b.column("entry"), pa.array([pickle.dumps(e) for e, _ in ends], pa.binary()), pa.array([n for _, n in ends], pa.int64())], ["id", "chunk", "entry", "end", "n"])
 
-    kind = df.schema[id_col].dataType.simpleString()
-    mapped = pieces.repartition("id", "chunk").mapInArrow(maps, f"id {kind}, chunk int, end_char int, head string, inside long, tail string")
+    asked, maps = pieces.select("id", "chunk").withColumn("entry", F.lit(pickle.dumps(START))), None
+    while maps is None or not asked.isEmpty():
+        new = pieces.join(asked, ["id", "chunk"]).select("id", "chunk", "entry", "piece").repartition("id", "chunk", "entry")
+        new = saved(new.mapInArrow(read_chunks, f"id {kind}, chunk int, entry binary, end binary, n long"), "state-maps")
+        maps = new if maps is None else maps.unionByName(new)
+        follows = maps.select("id", (F.col("chunk") + 1).alias("chunk"), F.col("end").alias("entry")).distinct().join(pieces.select("id", "chunk"), ["id", "chunk"])
+        asked = saved(follows.join(maps, ["id", "chunk", "entry"], "left_anti"), "states-asked")
 
     def scanned(pdf):
         c = counter(vocabulary)
-        pdf = pdf.sort_values("chunk")
-        found = [(h,) if t is None else (h, int(i), t) for h, i, t in zip(pdf["head"], pdf["inside"], pdf["tail"], strict=True)]
-        return pdf[["id", "chunk", "end_char"]].assign(tokens=[c.closed(m) for m in c.scan(found)])
+        each = [Known({pickle.loads(s): (pickle.loads(e), n) for s, e, n in zip(g["entry"], g["end"], g["n"], strict=True)}) for _, g in pdf.sort_values("chunk").groupby("chunk")]
+        ends = pdf.drop_duplicates("chunk").sort_values("chunk")[["id", "chunk", "end_char"]]
+        return ends.assign(tokens=[c.closed(m) for m in c.scan(each)])
 
-    return mapped.groupBy("id").applyInPandas(scanned, f"id {kind}, chunk int, end_char int, tokens long")
+    return maps.join(pieces.select("id", "chunk", "end_char"), ["id", "chunk"]).groupBy("id").applyInPandas(scanned, f"id {kind}, chunk int, end_char int, tokens long")
 
 
 def op3_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
