@@ -37,10 +37,26 @@ def shared_dir(spark: SparkSession) -> str:
 
 
 def saved(df: DataFrame, tag: str) -> DataFrame:
-    """Cuts the lineage: writes df as Parquet to the shared folder and reads it again."""
-    path = f"{shared_dir(df.sparkSession)}/{tag}-{uuid.uuid4().hex}"
+    """Cuts the lineage: writes df as Parquet to the shared folder and reads it again. The files go when the application ends, or by discard()."""
+    spark = df.sparkSession
+    path = f"{shared_dir(spark)}/{tag}-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    _file_system(spark, path)[0].deleteOnExit(_file_system(spark, path)[1])
+    out = spark.read.schema(df.schema).parquet(path)
+    out.saved_at = path
+    return out
+
+
+def _file_system(spark: SparkSession, path: str):
+    at = spark._jvm.org.apache.hadoop.fs.Path(path)
+    return at.getFileSystem(spark._jsc.hadoopConfiguration()), at
+
+
+def discard(*tables: DataFrame) -> None:
+    """Deletes the files of saved tables that nothing will read again."""
+    for t in tables:
+        fs, at = _file_system(t.sparkSession, t.saved_at)
+        fs.delete(at, True)
 
 
 def bounded_text(col: str = "text"):
@@ -201,10 +217,12 @@ def components(links: DataFrame, u: str = "u", v: str = "v") -> DataFrame:
         least = both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"))
         large = both.filter("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
         large = saved(large, "links")
+        discard(stars)
         # smaller neighbours, and the node itself, to the smallest
         least = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).filter("u <> v")
         stars = saved(small.union(least.select("u", F.col("m").alias("v"))).distinct(), "links")
+        discard(large)
         now = stars.agg(F.count(F.lit(1)), F.sum(F.xxhash64("u", "v").cast("decimal(20,0)"))).first()
         if now == seen:
             break

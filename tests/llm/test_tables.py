@@ -149,14 +149,15 @@ def test_pipeline(spark):
     assert all(good[i]["text"] == source[i]["text"] for i in good)
     kept = [labels[i] for i in good if i in labels]
     assert sum(kept) >= 0.98 * sum(labels.values()) and len(kept) - sum(kept) <= 0.3 * (len(labels) - sum(labels.values()))
-    fps = {i: simhash.fingerprint(simhash.shingle_hashes(r["text"].encode(), 5)) for i, r in good.items()}
-    low = {i: i for i in fps}
+    sets = {i: frozenset(simhash.shingle_hashes((r["text"] or "").encode(), 5).tolist()) for i, r in good.items()}
+    near = {(i, j) for i in sets for j in sets if sets[i] == sets[j] or len(sets[i] & sets[j]) >= c.SIMILARITY * len(sets[i] | sets[j])}
+    low = {i: i for i in sets}
     while True:
-        new = {i: min(low[j] for j in fps if (fps[i] ^ fps[j]).bit_count() <= c.DISTANCE) for i in fps}
+        new = {i: min(low[j] for j in sets if (i, j) in near) for i in sets}
         if new == low:
             break
         low = new
-    assert {r["doc_id"] for r in seen["simhash near-dedup"].collect()} == {i for i in fps if low[i] == i}
+    assert {r["doc_id"] for r in seen["simhash near-dedup"].collect()} == {i for i in sets if low[i] == i}
     hidden = {r["doc_id"]: r for r in seen["personal data"].collect()}
     plain = {r["doc_id"]: r for r in privacy.detect(seen["simhash near-dedup"]).collect()}
     for i, r in hidden.items():
@@ -169,6 +170,12 @@ def test_pipeline(spark):
     last = seen["byte-level bpe"].collect()
     assert sorted((r["doc_id"], codec.decode(bytes(r["token_ids"])).decode()) for r in last) == sorted((r["doc_id"], r["text"]) for r in mixed)
     assert all(r["n_tokens"] * 4 == len(r["token_ids"]) for r in last)
+    odd = [(None, None, None, None, None), (None, "no id", "en", "s", 1), (1, None, None, None, None), (2, "", "en", None, 0), (3, "a b c " * 9000, "en", "s", 5), (4, "same words in two rows", "en", "s", 1), (4, "same words in two rows", "en", "t", 2), (4, "quite another text", "en", "s", 3)]
+    odd = spark.createDataFrame(odd, "doc_id long, text string, lang string, source string, n_chars long")
+    for _, stage in c.STAGES:
+        stage(spark, odd.withColumn("score", F.lit("clash")), sf).count()
+    kept = c.drop_near_copies(spark, odd, sf).collect()
+    assert sorted(r["doc_id"] or 0 for r in kept) == [0, 0, 1, 3, 4]
     none = spark.read.parquet(f"{sf}/documents.parquet").limit(0)
     for _, stage in c.STAGES:
         assert stage(spark, none, sf).count() == 0
