@@ -2,52 +2,58 @@
 
 from __future__ import annotations
 
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from chunkset.llm import byte_bpe, mixing, near_copies, privacy, quality
-from chunkset.llm.common import read, shared_dir
+from chunkset.llm.common import discard, read, saved
+from chunkset.llm.privacy import either_way
 
 COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 #: Near copies share so much of their five-word shingles.
 SIMILARITY = 0.8
-#: No stage reads this any more: the bits in which fingerprints of copies could differ, to which test_pipeline compares.
-DISTANCE = 7
 
 
 def drop_low_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Fits on the labelled rows of docs; rows below a score of 0.5 go."""
+    """Fits on the labelled rows of docs that aren't held out; rows below a score of 0.5 go. Null and empty texts are scored as texts without words, a null
+    n_chars is taken from the text, repeated rows score alike, null ids are scored too. Without labels every row scores 0.5 and stays."""
     machine = quality.train(docs.select("doc_id", "text", "n_chars"), read(spark, sf_dir, "labels"))
-    scored = quality.score(docs.select(*COLUMNS, F.struct("text", "n_chars").alias("kept_text")), machine)
-    return scored.filter("score >= 0.5").select("doc_id", F.col("kept_text.text").alias("text"), "lang", "source", F.col("kept_text.n_chars").alias("n_chars"))
+    return quality.score(docs.select(*COLUMNS), machine, with_text=True).filter("score >= 0.5").select(*COLUMNS)
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near copies stays: the one with the smallest doc_id (of equal ids, one row).
+    """One document of each group of near copies stays: the one with the smallest doc_id.
 
-    Groups are what exact links of five-word similarity connect.
-    Rows without a doc_id can't be told apart by it: they all stay.
+    Groups are what exact links of five-word similarity connect, in the groups of close fingerprints and beyond them.
+    Of rows that share a doc_id the smallest stays, if one of them is the first of its group. Rows without a doc_id can't be told apart by
+    it: they all stay. Null texts are empty texts, which are copies of each other. An empty table gives an empty result.
     """
     found = near_copies.near_copies(docs.select("doc_id", "text"), words=5, at_least=SIMILARITY)
-    kept = found.filter(F.col("doc_id") == F.col("component_id")).select("doc_id").distinct()
-    numbered = docs.filter("doc_id is not null").select(*COLUMNS).withColumn("row_of_id", F.row_number().over(W.partitionBy("doc_id").orderBy("text", "source", "lang", "n_chars")))
-    return numbered.join(kept, "doc_id").filter("row_of_id = 1").select(*COLUMNS).union(docs.filter("doc_id is null").select(*COLUMNS))
+    by_id = found.filter("doc_id is not null").groupBy("doc_id").agg(F.max(F.col("doc_id") == F.col("component_id")).alias("first"), F.count(F.lit(1)).alias("rows"))
+    odd = saved(by_id.filter("not first or rows > 1"), "near-odd")
+    rest = [c for c in COLUMNS if c != "doc_id"]
+    kept = docs.select(*COLUMNS).join(either_way(odd.select("doc_id")), "doc_id", "left_anti")
+    again = odd.filter("first").select("doc_id")
+    if again.isEmpty():
+        return kept
+    one = docs.select(*COLUMNS).join(either_way(again), "doc_id").groupBy("doc_id").agg(F.min(F.struct(*rest)).alias("row"))
+    return kept.unionByName(one.select("doc_id", "row.*"))
 
 
 def hide_personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Every row of docs with its text sanitised and n_chars of the new text; a null text becomes the empty text. Repeated rows are sanitised alike,
+    null ids and sources stay null."""
     return privacy.sanitise(docs.select(*COLUMNS)).withColumn("n_chars", F.length("text").cast("long"))
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Every document as often as the mix takes it."""
+    """Every document as often as the mix takes it. A null source is one of its own, the last; rows that repeat an id are documents of their own;
+    a null or empty text has no words, and may be taken or not."""
     return mixing.mixed_rows(docs.select(*COLUMNS))
 
 
 def tokenise(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """doc_id, lang, source, and the text as token ids, which decode to it."""
+    """doc_id, lang, source, and the text as token ids, which decode to it; a null text has no ids. Repeated rows are encoded again."""
     coded = byte_bpe.encode_texts(docs.select("doc_id", "lang", "source", "text"))
     return coded.withColumn("ids_sha256", F.sha2("token_ids", 256))
 
@@ -65,10 +71,10 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Each stage's rows are written before the next reads them."""
     docs = read(spark, sf_dir, "documents")
     for i, (_, stage) in enumerate(STAGES):
-        path = f"{shared_dir(spark)}/pipeline-{i}-{uuid.uuid4().hex}"
-        out = stage(spark, docs, sf_dir)
-        out.write.parquet(path)
-        docs = spark.read.schema(out.schema).parquet(path)
+        before, docs = docs, saved(stage(spark, docs, sf_dir), f"pipeline-{i}")
+        if i:
+            discard(before)
     return docs
