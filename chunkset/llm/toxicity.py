@@ -3,7 +3,7 @@
 A character language model (interpolated trigrams) is counted over all documents. Spans that look disguised, words with
 digits or signs inside, letters set apart, letters repeated, become lattices: each sign may stand for the letters
 that resemble it or for nothing, a repetition for one or two letters, a separator for nothing or a space. The Viterbi path, under
-the model and the channel's costs, is the restored span. Restored texts are then scored by a logistic model of telling
+the model and the channel's costs, is the restored span; disguises may be mixed. Time is linear in a text, also in one long token. Restored texts are then scored by a logistic model of telling
 words and word beginnings, which are learned from the labelled rows that aren't held out (at most SAMPLE_ROWS).
 
 Null and empty texts: no words, the score of the intercept. Without labels of both kinds every score is the share
@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from chunkset.llm.common import Memo, bounded_text, read, saved
+from chunkset.llm.common import Memo, bounded_text, parts, raw, read, saved
 from chunkset.llm.quality import held_out, labelled_sample
 
 SAMPLE_ROWS, FEATURES, BEGINNINGS, SUPPORT = 20_000, 600, (4, 5, 6), 4
@@ -32,12 +32,14 @@ SIGN_COST, DROP_COST, DOUBLE_COST, SPACE_COST = 0.7, 12.0, 1.0, 3.0
 LETTER = r"[^\W\d_]"
 WORD = re.compile(f"{LETTER}+")
 INSIDE = re.compile(rf"(?:{LETTER}[0-9@$!|+€(*#¡]+(?={LETTER})|(?<!\S)[0-9@$|+€¡]+(?={LETTER}{{2}})|{LETTER}{{2}}[0-9$]+(?![^\s.,;:!?)]))")
-APART = re.compile(rf"(?<![^\W_])(?:{LETTER}(?:[ ._*-]|\s)){{2,}}{LETTER}(?![^\W_])")
+ONE, GAP = rf"(?:{LETTER}|[0-9@$!|+€(#¡])", r"(?:[ ._*,-]|\s)"
+APART = re.compile(rf"(?<![^\W_]){ONE}(?:{GAP}+{ONE}){{2,}}(?![^\W_])")
 REPEATED = re.compile(rf"({LETTER})\1\1")
 TOKEN = re.compile(r"\S+")
+SAME = re.compile(r"(.)\1*", re.DOTALL)
 #: Classes of characters: 0 none of the letters, then a to z, then the accented letters of Latin-1, then any other letter.
 CLASSES = 28 + 62
-SPAN_CHARS = 64
+SPAN_CHARS, CACHED_BYTES = 64, 16 << 20
 
 
 def class_table() -> np.ndarray:
@@ -82,48 +84,68 @@ class Model:
         return Model(-np.log(p3).astype(np.float32))
 
 
-def lattice(span: str) -> list[list[tuple[str, float]]]:
+def lattice(span: str) -> Iterator[list[tuple[str, float]]]:
     """For each position the strings that it may stand for, with the channel's cost."""
-    out, i = [], 0
-    low = span.lower()
-    while i < len(low):
-        c, n = low[i], 1
-        while i + n < len(low) and low[i + n] == c:
-            n += 1
+    for m in SAME.finditer(span.lower()):
+        c, n = m.group(1), m.end() - m.start()
         if c.isalpha():
-            out.append([(c, 0.0), (c + c, DOUBLE_COST)] if n > 2 else [(c * n, 0.0)])
+            yield [(c, 0.0), (c + c, DOUBLE_COST)] if n > 2 else [(c * n, 0.0)]
         elif c in LOOKS:
-            out.append([(x, SIGN_COST) for x in LOOKS[c]] + [("", DROP_COST if n < 3 else 0.0)])
+            yield [(x, SIGN_COST) for x in LOOKS[c]] + [("", DROP_COST if n < 3 else 0.0)]
         else:
-            out.append([("", 0.0), (" ", SPACE_COST)])
-        i += n
-    return out
+            yield [("", 0.0), (" ", SPACE_COST)]
+
+
+def class_of(x: str) -> int:
+    return int(CLASS_OF[ord(x)]) if ord(x) < 0x250 else CLASSES - 1
 
 
 def restore(span: str, model: Model) -> str:
-    """The best path: states are the last two classes, as the model sees no further back."""
-    cost = model.cost
-    of = lambda x: int(CLASS_OF[ord(x)]) if ord(x) < 0x250 else CLASSES - 1
-    best: dict[tuple[int, int], tuple[float, str]] = {(0, 0): (0.0, "")}
+    """The best path: states are the last two classes, as the model sees no further back. A path is a chain of back-pointers; where only one
+    state is left, what all paths share is written out, so that time is linear in the span and memory in its longest doubtful stretch."""
+    cost, out = model.cost, []
+    best: dict[tuple[int, int], tuple[float, tuple | None]] = {(0, 0): (0.0, None)}
+
+    def written(path: tuple | None) -> None:
+        back = []
+        while path is not None:
+            path, string = path
+            back.append(string)
+        out.extend(reversed(back))
+
     for options in lattice(span):
-        new: dict[tuple[int, int], tuple[float, str]] = {}
-        for (a, b), (c, text) in best.items():
-            for string, price in options:
+        if len(best) == 1 and len(options) == 1:  # plain letters in no doubt
+            ((p, q), (c, path)), string = next(iter(best.items())), options[0][0]
+            if path is not None:
+                written(path)
+            out.append(string)
+            for x in string:
+                p, q = q, class_of(x)
+            best = {(p, q): (0.0, None)}
+            continue
+        new: dict[tuple[int, int], tuple[float, tuple | None]] = {}
+        strings = [(string, [class_of(x) for x in string], price) for string, price in options]
+        for (a, b), (c, path) in best.items():
+            for string, ks, price in strings:
                 p, q, total = a, b, c + price
-                for x in string:
-                    k = of(x)
+                for k in ks:
                     total += float(cost[p, q, k])
                     p, q = q, k
                 if (p, q) not in new or total < new[p, q][0]:
-                    new[p, q] = (total, text + string)
+                    new[p, q] = (total, (path, string))
         best = new
-    return min(((c + float(cost[a, b, 0]), text) for (a, b), (c, text) in best.items()))[1]
+        if len(best) == 1:
+            (state, (c, path)) = next(iter(best.items()))
+            written(path)
+            best = {state: (0.0, None)}
+    written(min(best.items(), key=lambda x: x[1][0] + float(cost[x[0][0], x[0][1], 0]))[1][1])
+    return "".join(out)
 
 
 class Restorer:
     def __init__(self, model: Model):
         self.model = model
-        self.memo = Memo(100_000, lambda span: restore(span, model))
+        self.memo = Memo(CACHED_BYTES, lambda span: restore(span, model))
 
     def span(self, span: str) -> str:
         found = self.memo.young.get(span)
@@ -134,15 +156,16 @@ class Restorer:
     def restored(self, text: str) -> Iterator[tuple[int, int, str]]:
         """(start, end, what stands there) of each disguised span."""
         taken = -1
-        spans = [m.span() for m in APART.finditer(text)]
-        ends = {a: b for a, b in spans}
+        ends = {m.start(): m.end() for m in APART.finditer(text) if any(map(str.isalpha, m.group()))}
         for pattern in (INSIDE, REPEATED):
+            seen = -1  # matches come in order, and none reaches past its token: each token is looked at once
             for m in pattern.finditer(text):
-                a, b = m.span()
+                a = m.start()
+                if a < seen:
+                    continue
+                seen = b = TOKEN.match(text, a).end()
                 while a > 0 and not text[a - 1].isspace():
                     a -= 1
-                while b < len(text) and not text[b].isspace():
-                    b += 1
                 if "@" not in text[a:b] or "." not in text[a:b]:  # an address is what it is
                     ends[a] = max(b, ends.get(a, 0))
         for a in sorted(ends):
@@ -179,17 +202,8 @@ def language_model(docs: DataFrame, text_col: str = "text") -> Model:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total = np.zeros(CLASSES**3, np.int64)
-        for b in batches:
-            held: list[str] = []
-            chars = 0
-            for t in b.column(0):
-                held.append(t.as_buffer().to_pybytes().decode("utf-8", "replace"))
-                chars += len(held[-1])
-                if chars > 1 << 22:
-                    total += trigram_counts(["  ".join(held)])
-                    held, chars = [], 0
-            if held:
-                total += trigram_counts(["  ".join(held)])
+        for b in parts(batches, 0):
+            total += trigram_counts(["  ".join(raw(t).decode("utf-8", "replace") for t in b.column(0))])
         at = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(total[at])], ["at", "n"])
 
@@ -223,8 +237,8 @@ def train(docs: DataFrame, labels: DataFrame, model: Model, label: str = "toxic"
 
     def words_in(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         r = Restorer(Model(shared.value))
-        for b in batches:
-            words = [words_of(t.as_buffer().to_pybytes().decode("utf-8", "replace"), r) for t in b.column(0)]
+        for b in parts(batches, 0):
+            words = [words_of(raw(t).decode("utf-8", "replace"), r) for t in b.column(0)]
             yield pa.RecordBatch.from_arrays([b.column(2), b.column(1), pa.array([list(w) for w in words], pa.list_(pa.string())), pa.array([list(w.values()) for w in words], pa.list_(pa.int64()))], ["doc_id", "y", "words", "counts"])
 
     rows = labelled_sample(docs, labels, label, sample_rows).select(bounded_text(), "label_is", F.col("doc_id").cast("long").alias("doc_id"))
@@ -281,9 +295,9 @@ def score(docs: DataFrame, model: Model, scorer: Scorer, text_col: str = "text",
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         cost, features, weight, intercept = shared.value
         r = Restorer(Model(cost))
-        memo = Memo(400_000, lambda w: tuple(features[t] for t in telling(w) if t in features))
-        for b in batches:
-            texts = [t.as_buffer().to_pybytes().decode("utf-8", "replace") for t in b.column(len(keep))]
+        memo = Memo(CACHED_BYTES, lambda w: tuple(features[t] for t in telling(w) if t in features))
+        for b in parts(batches, len(keep)):
+            texts = [raw(t).decode("utf-8", "replace") for t in b.column(len(keep))]
             margins = []
             for t in texts:
                 found = columns_of(words_of(t, r), features, memo)
