@@ -41,7 +41,7 @@ def saved(df: DataFrame, tag: str) -> DataFrame:
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{tag}-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    _file_system(spark, path)[0].deleteOnExit(_file_system(spark, path)[1])
+    goes_at_exit(spark, path)
     out = spark.read.schema(df.schema).parquet(path)
     out.saved_at = path
     return out
@@ -52,6 +52,11 @@ def _file_system(spark: SparkSession, path: str):
     return at.getFileSystem(spark._jsc.hadoopConfiguration()), at
 
 
+def goes_at_exit(spark: SparkSession, path: str) -> None:
+    fs, at = _file_system(spark, path)
+    fs.deleteOnExit(at)
+
+
 def discard(*tables: DataFrame) -> None:
     """Deletes the files of saved tables that nothing will read again."""
     for t in tables:
@@ -64,7 +69,17 @@ def bounded_text(col: str = "text"):
     return F.coalesce(F.col(col).cast("binary"), F.lit(b"")).alias(col)
 
 
-PART_BYTES, ENTRY_BYTES = 4 << 20, 100
+PART_BYTES, ENTRY_BYTES, BATCH_KEY = 4 << 20, 100, "spark.sql.execution.arrow.maxBytesPerBatch"
+
+
+def small_batches(df: DataFrame) -> DataFrame:
+    """df, from whose session on Arrow batches hold PART_BYTES at most: executors keep several of them, and Spark's default is sixteen times as much."""
+    spark = df.sparkSession
+    now = spark.conf.get(BATCH_KEY, None)
+    if now and not 0 < spark._jvm.org.apache.spark.network.util.JavaUtils.byteStringAsBytes(now) <= PART_BYTES:
+        spark.conf.set(BATCH_KEY, f"{PART_BYTES}b")
+    return df
+
 
 
 def raw(x: pa.Scalar) -> bytes:

@@ -22,7 +22,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from chunkset.llm.common import WORD_GAP, read, run_starts, saved, sorted_runs
+from chunkset.llm.common import WORD_GAP, read, run_starts, saved, small_batches, sorted_runs
 
 WEIGHTS, SHARE, MOST = (3, 1, 2), 1.5, 2.0
 BLOCK_ROWS, HELD, BROADCAST_SOURCES, AT_ONCE = 256, 10, 10_000, 10_000
@@ -140,7 +140,7 @@ def numbered(rows: DataFrame, count: str) -> DataFrame:
 
 def mix(docs: DataFrame, weights: tuple = WEIGHTS, share: float = SHARE, most: float = MOST) -> DataFrame:
     """(doc_id, size, source_size, target, copies, taken, row_key) for each row of (doc_id, source, text)."""
-    sizes = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "source", words().alias("size"), row_key().alias("row_key"))
+    sizes = small_batches(docs).select(F.col("doc_id").cast("long").alias("doc_id"), "source", words().alias("size"), row_key().alias("row_key"))
     sizes = saved(sizes.groupBy("row_key", "doc_id", "source", "size").agg(F.count(F.lit(1)).alias("alike")), "sizes")
     targets = saved(source_targets(sizes.select("source", (F.col("size") * F.col("alike")).alias("size")), weights, share, most), "targets")
     few = targets.limit(BROADCAST_SOURCES + 1).count() <= BROADCAST_SOURCES

@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from chunkset.llm.common import bounded_text, components, into_blocks, read, run_starts, saved, sorted_runs, star_links
+from chunkset.llm.common import bounded_text, components, into_blocks, parts, raw, read, run_starts, saved, small_batches, sorted_runs, star_links
 
 BITS, SEED, BLOCK_ROWS, PAIRS_AT_ONCE = 64, 42, 192, 400_000
 
@@ -56,11 +56,11 @@ def fingerprints(df: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     """(id, fp): the 64 bits as a signed long."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            fps = np.fromiter((fingerprint(shingle_hashes(x.as_buffer().to_pybytes(), words)) for x in b.column(1)), np.uint64, b.num_rows)
+        for b in parts(batches, 1):
+            fps = np.fromiter((fingerprint(shingle_hashes(raw(x), words)) for x in b.column(1)), np.uint64, b.num_rows)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(fps.view(np.int64))], ["id", "fp"])
 
-    return df.select(F.col(id_col).cast("long").alias("id"), bounded_text(text_col)).mapInArrow(run, "id long, fp long")
+    return small_batches(df).select(F.col(id_col).cast("long").alias("id"), bounded_text(text_col)).mapInArrow(run, "id long, fp long")
 
 
 # -- the plan: partitions of bits, and what a probe of each radius would meet ---------------------------------------

@@ -30,7 +30,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from chunkset.llm.byte_bpe import CELL, vocabulary_path
-from chunkset.llm.common import Memo, bounded_text, parts, raw, read, saved
+from chunkset.llm.common import Memo, bounded_text, parts, raw, read, saved, small_batches
 
 MAX_STATES, CACHED_BYTES, CACHED_CHARS, CHUNK_CHARS = 200_000, 24 << 20, 64, 1 << 16
 INNER = (b"", ((-1, 0),))
@@ -305,7 +305,7 @@ def count_tokens(df: DataFrame, text_col: str = "text", vocabulary: str = "byte_
             counts = [c.count(x.decode("utf-8", "replace"), chunk_chars) for x in texts]
             yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.array(map(len, texts), pa.int64()), pa.array(counts, pa.int64())], [*keep, "n_bytes", "n_tokens"])
 
-    counted = df.select(*[F.col(f"`{c}`") for c in keep], bounded_text(text_col)).mapInArrow(run, schema)
+    counted = small_batches(df).select(*[F.col(f"`{c}`") for c in keep], bounded_text(text_col)).mapInArrow(run, schema)
     return counted.withColumn("over_limit", F.col("n_tokens") > limit)
 
 
@@ -316,7 +316,7 @@ def running_counts(df: DataFrame, id_col: str, text_col: str = "text", vocabular
     plain text that it is.
     """
     text = F.coalesce(F.col(text_col), F.lit(""))
-    pieces = df.select(F.col(id_col).alias("id"), text.alias("text")).select("id", "text", F.explode(F.sequence(F.lit(0), F.greatest(F.lit(0), F.floor((F.length("text") - 1) / chunk_chars)).cast("int"))).alias("chunk"))
+    pieces = small_batches(df).select(F.col(id_col).alias("id"), text.alias("text")).select("id", "text", F.explode(F.sequence(F.lit(0), F.greatest(F.lit(0), F.floor((F.length("text") - 1) / chunk_chars)).cast("int"))).alias("chunk"))
     pieces = saved(pieces.select("id", "chunk", F.substr("text", F.col("chunk") * chunk_chars + 1, F.lit(chunk_chars)).alias("piece"), F.least(F.length("text"), (F.col("chunk") + 1) * chunk_chars).alias("end_char")), "text-chunks")
     kind = df.schema[id_col].dataType.simpleString()
 

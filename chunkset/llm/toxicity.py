@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from chunkset.llm.common import Memo, bounded_text, parts, raw, read, saved
+from chunkset.llm.common import Memo, bounded_text, parts, raw, read, saved, small_batches
 from chunkset.llm.quality import held_out, labelled_sample
 
 SAMPLE_ROWS, FEATURES, BEGINNINGS, SUPPORT = 20_000, 600, (4, 5, 6), 4
@@ -207,7 +207,7 @@ def language_model(docs: DataFrame, text_col: str = "text") -> Model:
         at = np.flatnonzero(total)
         yield pa.RecordBatch.from_arrays([pa.array(at), pa.array(total[at])], ["at", "n"])
 
-    rows = docs.select(bounded_text(text_col)).mapInArrow(run, "at long, n long").groupBy("at").agg(F.sum("n").alias("n")).toArrow()
+    rows = small_batches(docs).select(bounded_text(text_col)).mapInArrow(run, "at long, n long").groupBy("at").agg(F.sum("n").alias("n")).toArrow()
     counts = np.zeros(CLASSES**3, np.int64)
     counts[rows.column("at").to_numpy()] = rows.column("n").to_numpy()
     return Model.of(counts)
@@ -241,7 +241,7 @@ def train(docs: DataFrame, labels: DataFrame, model: Model, label: str = "toxic"
             words = [words_of(raw(t).decode("utf-8", "replace"), r) for t in b.column(0)]
             yield pa.RecordBatch.from_arrays([b.column(2), b.column(1), pa.array([list(w) for w in words], pa.list_(pa.string())), pa.array([list(w.values()) for w in words], pa.list_(pa.int64()))], ["doc_id", "y", "words", "counts"])
 
-    rows = labelled_sample(docs, labels, label, sample_rows).select(bounded_text(), "label_is", F.col("doc_id").cast("long").alias("doc_id"))
+    rows = labelled_sample(small_batches(docs), labels, label, sample_rows).select(bounded_text(), "label_is", F.col("doc_id").cast("long").alias("doc_id"))
     rows = saved(rows.mapInArrow(words_in, "doc_id long, y int, words array<string>, counts array<long>"), "toxic-words")
     totals = rows.agg(F.sum("y").alias("bad"), F.count(F.lit(1)).alias("n")).first()
     n, bad = totals["n"] or 0, totals["bad"] or 0
@@ -306,7 +306,7 @@ def score(docs: DataFrame, model: Model, scorer: Scorer, text_col: str = "text",
             extra = [pa.array([r.text(t) for t in texts], pa.string())] if with_text else []
             yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.array(p), *extra], [*keep, "score", *["restored"] * with_text])
 
-    return docs.select(*[F.col(f"`{c}`") for c in keep], bounded_text(text_col)).mapInArrow(run, schema)
+    return small_batches(docs).select(*[F.col(f"`{c}`") for c in keep], bounded_text(text_col)).mapInArrow(run, schema)
 
 
 def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -17,7 +17,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from chunkset.llm.common import components, into_blocks, local_components, read, run_starts, saved, sorted_runs
+from chunkset.llm.common import components, into_blocks, local_components, read, run_starts, saved, small_batches, sorted_runs
 
 SAMPLE_ROWS = 16_384  # an index is fitted on so many vectors at most; every vector is indexed
 
@@ -26,7 +26,7 @@ def usable(df: DataFrame, id_col: str, vector_col: str) -> DataFrame:
     """(id, vec): the vectors that take part, as the bytes of their components: 32 bits each if they are floats, else 64."""
     v = F.col(vector_col).cast("array<double>")
     sound = F.col(vector_col).isNotNull() & (F.size(vector_col) > 0) & F.forall(v, lambda x: F.coalesce((F.abs(x) < float("inf")) & ~F.isnan(x), F.lit(False))) & F.exists(v, lambda x: x != 0)
-    rows = df.filter(sound).select(F.col(id_col).cast("long").alias("id"), v.alias("v"))
+    rows = small_batches(df).filter(sound).select(F.col(id_col).cast("long").alias("id"), v.alias("v"))
     usual = rows.groupBy(F.size("v").alias("d")).count().orderBy(F.desc("count"), "d").first()
     dim = usual["d"] if usual else 1
 

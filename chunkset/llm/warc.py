@@ -25,7 +25,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from chunkset.llm.common import read, saved, shared_dir
+from chunkset.llm.common import goes_at_exit, read, saved, shared_dir, small_batches
 
 ARCHIVE_BYTES, BROADCAST_GROUPS, WINDOW = 8 << 20, 50_000, 1 << 16
 LINE, END = b"\r\n", b"\r\n\r\n"
@@ -160,7 +160,7 @@ def write_archives(pages: DataFrame, path: str, archive_bytes: int = ARCHIVE_BYT
             close()
         yield pa.RecordBatch.from_arrays([pa.array([m[0] for m in made], pa.string()), pa.array([m[1] for m in made], pa.int64()), pa.array([m[2] for m in made], pa.int64())], ["archive", "records", "bytes"])
 
-    return pages.select("page_id", "url", "payload", "refers_to").mapInArrow(run, "archive string, records long, bytes long")
+    return small_batches(pages).select("page_id", "url", "payload", "refers_to").mapInArrow(run, "archive string, records long, bytes long")
 
 
 def read_archives(spark: SparkSession, path: str, payloads: bool = False) -> DataFrame:
@@ -199,6 +199,7 @@ def read_archives(spark: SparkSession, path: str, payloads: bool = False) -> Dat
 
 def op10_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     path = f"{shared_dir(spark)}/warc-{uuid.uuid4().hex}"
+    goes_at_exit(spark, path)
     manifest = saved(write_archives(with_originals(read(spark, sf_dir, "pages")), path), "warc-manifest")
     found = manifest.agg(F.sum("records")).first()[0]
     if not found:
