@@ -53,18 +53,14 @@ def joined(value: np.ndarray, length: np.ndarray) -> Runs:
 
 
 def ids_from_runs(r: Runs) -> np.ndarray:
-    ends = np.cumsum(r.length)
-    starts = ends - r.length
-    out = []
-    full = r.value == ONES
-    for s, e in zip(starts[full].tolist(), ends[full].tolist(), strict=True):
-        out.append(np.arange(s * GROUP, e * GROUP))
-    literal = ~full & (r.value != 0)
-    bits = (r.value[literal][:, None] >> np.arange(GROUP)) & 1
-    which, bit = np.nonzero(bits)
-    base = starts[literal]
-    out.append(base[which] * GROUP + bit)
-    return np.sort(np.concatenate(out)) if out else np.empty(0, np.int64)
+    """Runs of ones are counted out, literals by their bits; neither needs a sort, as groups come in order."""
+    full, some = r.value == ONES, r.value != 0
+    starts = np.cumsum(r.length) - r.length
+    groups = np.where(full, r.length, 1)[some]
+    row = np.repeat(np.flatnonzero(some), groups)
+    group = starts[row] + np.arange(len(row)) - np.repeat(np.cumsum(groups) - groups, groups)
+    which, bit = np.nonzero((r.value[row][:, None] >> np.arange(GROUP)) & 1)
+    return group[which] * GROUP + bit
 
 
 def encode(ids: np.ndarray, codec: str, fill_most: int | None = None) -> np.ndarray:
@@ -73,59 +69,44 @@ def encode(ids: np.ndarray, codec: str, fill_most: int | None = None) -> np.ndar
 
 
 def words_from_runs(r: Runs, codec: str, fill_most: int | None = None) -> np.ndarray:
-    most = fill_most or FILL_MOST[codec]
-    out: list[int] = []
-    value, length = r.value.tolist(), r.length.tolist()
-    i, n = 0, len(value)
-    while i < n:
-        v, k = value[i], length[i]
-        if v not in (0, ONES):
-            if codec == "posfill" and i + 1 < n and value[i + 1] in (0, ONES):
-                odd = v ^ value[i + 1]
-                if odd & (odd - 1) == 0:
-                    fill, k = value[i + 1], length[i + 1]
-                    first = min(k, most - 1)
-                    out.append(1 << 31 | (fill == ONES) << 30 | odd.bit_length() << (W - 2 - POSITION) | first)
-                    out += fills(fill, k - first, codec, most)
-                    i += 2
-                    continue
-            out.append(v)
-        else:
-            out += fills(v, k, codec, most)
-        i += 1
-    return np.array(out, np.uint32)
-
-
-def fills(value: int, length: int, codec: str, most: int) -> list[int]:
-    """Fill words for a run, as many as the length's field needs. The position-fill codec stores the length less one."""
-    out = []
-    while length > 0:
-        part = min(length, most)
-        out.append(1 << 31 | (value == ONES) << 30 | (part - 1 if codec == "posfill" else part))
-        length -= part
-    return out
+    """Each run gives as many words as its length needs. A literal that differs in one bit from the fill after it goes into that fill's first word."""
+    most, v, k = fill_most or FILL_MOST[codec], r.value, r.length
+    if not len(v):
+        return np.empty(0, np.uint32)
+    fill = (v == 0) | (v == ONES)
+    odd = np.zeros(len(v), np.int64)  # by which bit, from 1, the run before a fill differs from it
+    if codec == "posfill":
+        differs = v[:-1] ^ v[1:]
+        one = ~fill[:-1] & fill[1:] & (differs & (differs - 1) == 0)
+        odd[1:][one] = np.bitwise_count(differs[one] - 1) + 1
+    swallowed = np.append(odd[1:] > 0, False)
+    first = np.where(odd > 0, np.minimum(k, most - 1), 0)  # groups of a fill that its first word counts beside the literal
+    left = k - first
+    parts = np.where(fill, -(-left // most), 1) * ~swallowed
+    n = parts + (odd > 0)
+    row = np.repeat(np.arange(len(v)), n)
+    nth = np.arange(len(row)) - np.repeat(np.cumsum(n) - n, n)
+    headed = (odd[row] > 0) & (nth == 0)
+    nth = nth - (odd[row] > 0)
+    length = np.minimum(most, left[row] - nth * most) - (codec == "posfill")
+    flag = 1 << 31 | (v[row] == ONES).astype(np.int64) << 30
+    out = np.where(fill[row], flag | length, v[row])
+    out = np.where(headed, flag | odd[row] << (W - 2 - POSITION) | first[row], out)
+    return out.astype(np.uint32)
 
 
 def decode_runs(words: np.ndarray, codec: str) -> Runs:
-    values: list[int] = []
-    lengths: list[int] = []
-    for w in words.tolist():
-        if not w >> 31:
-            values.append(w)
-            lengths.append(1)
-            continue
-        fill = ONES if w >> 30 & 1 else 0
-        if codec == "fillrun":
-            values.append(fill)
-            lengths.append(w & ((1 << 30) - 1))
-            continue
-        p, r = w >> (W - 2 - POSITION) & 31, w & ((1 << (W - 2 - POSITION)) - 1)
-        if p:
-            values.append(fill ^ 1 << (p - 1))
-            lengths.append(1)
-        values.append(fill)
-        lengths.append(r if p else r + 1)
-    v, k = np.array(values, np.int64), np.array(lengths, np.int64)
+    """Each word gives up to two runs: the literal that a position stands for, and the fill."""
+    w = words.astype(np.int64)
+    fill = w >> 31 == 1
+    value = np.where(w >> 30 & 1 == 1, ONES, 0)
+    if codec == "fillrun":
+        v, k = np.where(fill, value, w), np.where(fill, w & ((1 << 30) - 1), 1)
+        return joined(v[k > 0], k[k > 0])
+    p, r = np.where(fill, w >> (W - 2 - POSITION) & 31, 0), w & ((1 << (W - 2 - POSITION)) - 1)
+    before = value ^ np.where(p > 0, 1 << np.maximum(p - 1, 0), 0)
+    v = np.stack([before, np.where(fill, value, w)], axis=1).ravel()
+    k = np.stack([(p > 0).astype(np.int64), np.where(fill, np.where(p > 0, r, r + 1), 1)], axis=1).ravel()
     return joined(v[k > 0], k[k > 0])
 
 
@@ -199,6 +180,21 @@ def plain_encode(ids: np.ndarray) -> np.ndarray:
     return np.packbits(flags, bitorder="little").view(np.uint64) if n else np.empty(0, np.uint64)
 
 
+def plain_set(words: np.ndarray, x: int) -> np.ndarray:
+    """Sets a bit in the words themselves; beyond their end, in words of twice the capacity or what is needed."""
+    w = x >> 6
+    if w >= len(words):
+        words = np.concatenate([words, np.zeros(max(w + 1, 2 * len(words)) - len(words), np.uint64)])
+    words[w] |= np.uint64(1 << (x & 63))
+    return words
+
+
+def plain_clear(words: np.ndarray, x: int) -> np.ndarray:
+    if x >> 6 < len(words):
+        words[x >> 6] &= ~np.uint64(1 << (x & 63))
+    return words
+
+
 def plain_decode(words: np.ndarray) -> np.ndarray:
     return np.flatnonzero(np.unpackbits(words.view(np.uint8), bitorder="little"))
 
@@ -219,7 +215,7 @@ def plain_combine(a: np.ndarray, b: np.ndarray, op: str) -> np.ndarray:
 
 
 def doubling_words(ids_in_order) -> int:
-    """Capacity in words after setting bits in the given order: it doubles when it must grow, or grows to what is needed."""
+    """Capacity in words after setting bits in the given order: it doubles when it must grow, or grows to what is needed, as plain_set does."""
     words = 1
     for x in ids_in_order:
         need = (int(x) >> 6) + 1

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
@@ -35,7 +37,7 @@ def plain_pairs(ids: DataFrame, pairs: DataFrame, op: str) -> DataFrame:
 
 
 def doubled_capacity(ids: DataFrame) -> DataFrame:
-    """(set_id, words): capacity that doubles as ids come in their order."""
+    """(set_id, words): capacity after the ids have come in ascending order, doubled whenever it doesn't do."""
     steps = ids.groupBy("set_id", F.shiftright("id", 6).alias("w")).count().groupBy("set_id").agg(F.sort_array(F.collect_list(F.col("w") + 1)).alias("needs"))
     grown = F.aggregate("needs", F.lit(1).cast("long"), lambda acc, need: F.when(need > acc, F.greatest(acc * 2, need)).otherwise(acc))
     return steps.select("set_id", grown.alias("words"))
@@ -49,32 +51,41 @@ def groups(ids: DataFrame) -> DataFrame:
     return ids.groupBy("set_id", F.expr("id div 31").alias("g")).agg(F.expr("bit_or(shiftleft(1L, cast(id % 31 as int)))").alias("bits"))
 
 
-def run_rows(ids: DataFrame) -> DataFrame:
-    """(set_id, first_group, length, bits): runs of the set in order, zero runs included, trailing zeros not.
+def islands(ids: DataFrame) -> DataFrame:
+    """(set_id, first_group, length, bits, after, next_group, next_bits): runs that aren't zero, with the end of the one before and the start of the next.
 
-    Islands of all-ones groups have a constant difference of group and row number; gaps are where the group before isn't the
-    neighbour. Both come from one sort by (set, group).
+    Islands of all-ones groups have a constant difference of group and row number.
     """
     g = groups(ids).withColumn("n", F.row_number().over(W.partitionBy("set_id", "bits").orderBy("g")))
     island = F.when(F.col("bits") == R.ONES, F.col("g") - F.col("n")).otherwise(-1 - F.col("g"))
     ones = g.withColumn("island", island).groupBy("set_id", "bits", "island").agg(F.min("g").alias("first_group"), F.count(F.lit(1)).alias("length")).drop("island")
     w = W.partitionBy("set_id").orderBy("first_group")
-    gaps = ones.withColumn("after", F.coalesce(F.lag(F.col("first_group") + F.col("length")).over(w), F.lit(0)))
-    zero = gaps.filter("first_group > after").select("set_id", F.col("after").alias("first_group"), (F.col("first_group") - F.col("after")).alias("length"), F.lit(0).cast("long").alias("bits"))
-    return ones.select("set_id", "first_group", "length", "bits").union(zero)
+    return ones.withColumns({"after": F.coalesce(F.lag(F.col("first_group") + F.col("length")).over(w), F.lit(0)), "next_group": F.lead("first_group").over(w), "next_bits": F.lead("bits").over(w)})
+
+
+def run_rows(ids: DataFrame) -> DataFrame:
+    """(set_id, first_group, length, bits): runs of the set in order, zero runs included, trailing zeros not. Gaps are where the run
+    before doesn't end at the next one's start; both come from one pass."""
+    one = lambda first, length, bits: F.struct(first.cast("long").alias("first_group"), length.cast("long").alias("length"), bits.cast("long").alias("bits"))
+    both = F.array(one(F.col("after"), F.col("first_group") - F.col("after"), F.lit(0)), one(F.col("first_group"), F.col("length"), F.col("bits")))
+    return islands(ids).select("set_id", F.explode(both).alias("r")).select("set_id", "r.*").filter("length > 0")
+
+
+def both_word_counts(ids: DataFrame) -> DataFrame:
+    """(set_id, fillrun, posfill): words of the encoded streams, from one list of runs. Position-fill: a literal that differs from the next
+    fill in one bit costs nothing."""
+    gap = F.col("first_group") - F.col("after")
+    cost = lambda length, codec: F.ceil(length / F.lit(R.FILL_MOST[codec]))
+    literal = F.col("bits") != R.ONES
+    follows = F.when(F.col("next_group") > F.col("first_group") + F.col("length"), F.lit(0)).when(F.col("next_bits") == R.ONES, F.lit(R.ONES))
+    folded = F.coalesce(literal & (F.bit_count(F.col("bits").bitwiseXOR(follows.cast("long"))) == 1), F.lit(False))
+    per_run = lambda codec: cost(gap, codec) + F.when(literal, 1).otherwise(cost(F.col("length"), codec))
+    return islands(ids).groupBy("set_id").agg(F.sum(per_run("fillrun")).cast("long").alias("fillrun"), F.sum(per_run("posfill") - folded.cast("int")).cast("long").alias("posfill"))
 
 
 def word_counts(ids: DataFrame, codec: str) -> DataFrame:
-    """(set_id, words) of the encoded stream. Position-fill: a literal that differs from the next fill in one bit costs nothing."""
-    r = run_rows(ids)
-    if codec == "fillrun":
-        return r.groupBy("set_id").agg(F.sum(F.ceil(F.col("length") / F.lit(R.FILL_MOST["fillrun"]))).cast("long").alias("words"))
-    w = W.partitionBy("set_id").orderBy("first_group")
-    fill = (F.col("bits") == 0) | (F.col("bits") == R.ONES)
-    after = F.lead(F.when(fill, F.col("bits"))).over(w)
-    folded = ~fill & (F.bit_count(F.col("bits").bitwiseXOR(after)) == 1)
-    cost = F.when(F.coalesce(folded, F.lit(False)), 0).otherwise(F.ceil(F.col("length") / F.lit(R.FILL_MOST["posfill"])))
-    return r.withColumn("cost", cost).groupBy("set_id").agg(F.sum("cost").cast("long").alias("words"))
+    """(set_id, words) of the encoded stream."""
+    return both_word_counts(ids).select("set_id", F.col(codec).alias("words"))
 
 
 def run_ids(runs: DataFrame) -> DataFrame:
@@ -83,11 +94,11 @@ def run_ids(runs: DataFrame) -> DataFrame:
     return rows.select("set_id", "g", "bits", F.explode(F.sequence(F.lit(0), F.lit(30))).alias("b")).filter("shiftright(bits, b) & 1 = 1").select("set_id", (F.col("g") * 31 + F.col("b")).alias("id"))
 
 
-def run_pairs(ids: DataFrame, pairs: DataFrame, op: str, slab_groups: int = 1 << 12) -> DataFrame:
+def run_pairs(ids: DataFrame, pairs: DataFrame, op: str, slab_groups: int = 1 << 7) -> DataFrame:
     """(pair_id, first_group, length, bits): overlapping pieces of two run lists, met slab by slab of the group axis.
 
     Slabs make the overlap join an equi-join on (pair, slab) and keep a long run list from being one task's work; a run is
-    cut at slab ends, which changes no bits.
+    cut at slab ends, which changes no bits. A slab holds at most slab_groups runs of each side.
     """
     r = run_rows(ids).filter("bits <> 0")
     first, last = F.expr(f"first_group div {slab_groups}"), F.expr(f"(first_group + length - 1) div {slab_groups}")
@@ -122,11 +133,15 @@ def encode_streams(ids: DataFrame, codec: str) -> DataFrame:
 
 
 def decode_streams(streams: DataFrame, codec: str) -> DataFrame:
-    def ids(r: dict):
-        for i in R.decode(np.frombuffer(r["stream"], np.uint32), codec).tolist():
-            yield r["set_id"], i
-
-    return kernel(streams.select("set_id", "stream"), "set_id string, id long", ids)
+    def ids(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            for i, stream in enumerate(b.column("stream")):
+                found = R.decode(np.frombuffer(stream.as_buffer(), np.uint32), codec)
+                for a in range(0, len(found), 1 << 16):
+                    part = pa.array(found[a : a + (1 << 16)])
+                    yield pa.RecordBatch.from_arrays([b.column("set_id").take(pa.array(np.full(len(part), i))), part], ["set_id", "id"])
+
+    return streams.select("set_id", "stream").mapInArrow(ids, "set_id string, id long")
 
 
 def stream_pairs(streams: DataFrame, pairs: DataFrame, codec: str, op: str) -> DataFrame:

@@ -139,6 +139,23 @@ def to_ids(containers: DataFrame) -> DataFrame:
     return containers.select("set_id", "key", "kind", "payload").mapInArrow(run, "set_id string, id long")
 
 
+def to_words(containers: DataFrame) -> DataFrame:
+    """(set_id, w, word): the containers' words that aren't zero, at w = id >> 6. Up to 64 ids a row."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            for i in range(0, whole.num_rows, 256):
+                b = whole.slice(i, 256)
+                if not b.num_rows:
+                    continue
+                words = np.stack([C.to_bitmap(C.from_payload(k, p)).data for k, p in zip(b.column("kind").to_pylist(), b.column("payload").to_pylist(), strict=True)])
+                row, at = np.nonzero(words)
+                w = (b.column("key").to_numpy().astype(np.int64) << 10)[row] + at
+                yield pa.RecordBatch.from_arrays([b.column("set_id").take(pa.array(row)), pa.array(w), pa.array(words[row, at].view(np.int64))], ["set_id", "w", "word"])
+
+    return containers.select("set_id", "key", "kind", "payload").mapInArrow(run, "set_id string, w long, word long")
+
+
 def violations(containers: DataFrame) -> DataFrame:
     """(set_id, key, problem) for rows that break the canonical form; none if all is well."""
 
@@ -170,6 +187,12 @@ def census(containers: DataFrame) -> DataFrame:
     )
 
 
+def census_of_ids(ids: DataFrame) -> DataFrame:
+    """The census of what build would make of the ids, from counts of their words: no container is made."""
+    counts = words(ids).groupBy("set_id", "key").agg(F.sum(F.bit_count("word")).cast("long").alias("card"))
+    return census(counts.withColumn("kind", F.when(F.col("card") > C.ARRAY_MOST, C.BITMAP).otherwise(C.ARRAY)))
+
+
 def payload_bytes() -> Column:
     """Of canonical containers, from their counts."""
     return F.when(F.col("card") <= C.ARRAY_MOST, F.col("card").cast("long") * 2).otherwise(F.lit(8 * C.WORDS).cast("long"))

@@ -109,4 +109,4 @@ def ids_where(index: DataFrame, p) -> DataFrame:
 
 def rows_where(table: DataFrame, id_col: str, index: DataFrame, p) -> DataFrame:
     """The rows of table that the predicate holds for, found through the index."""
-    return table.join(ids_where(index, p).withColumnRenamed("id", id_col), id_col, "left_semi")
+    return pairwise.rows_in(table, id_col, solve(index, p))

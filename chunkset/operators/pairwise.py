@@ -2,11 +2,17 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from chunkset.functions import batch as K
 from chunkset.functions import containers as C
-from chunkset.operators.build import kernel, to_ids
+from chunkset.operators.build import kernel, to_words
 from chunkset.sources.storage import small_side
 
 JOIN = {"and": "inner", "or": "full_outer", "xor": "full_outer", "andnot": "left"}
@@ -25,7 +31,13 @@ def align(left: DataFrame, right: DataFrame, op: str, hint: str | None = None) -
 
 
 def apply(aligned: DataFrame, op: str, inplace: bool = False, predict: bool = True, method: str = "auto") -> DataFrame:
-    """Containers of the results, named by pair; empty ones are dropped. A container alone passes as it is (or, XOR, AND NOT)."""
+    """Containers of the results, named by pair; empty ones are dropped. A container alone passes as it is (or, XOR, AND NOT).
+
+    AND and OR work off whole batches at once; in place, and for XOR and AND NOT, one pair of containers after the other.
+    """
+    rows = aligned.select("pair", "key", "kind_l", "card_l", "payload_l", "kind_r", "card_r", "payload_r")
+    if op in ("and", "or") and not inplace:
+        return rows.mapInArrow(by_batch(lambda a, b: K.intersection(a, b, method) if op == "and" else K.union(a, b, predict)), OUT)
 
     def work(r: dict):
         a = None if r["payload_l"] is None else C.from_payload(r["kind_l"], r["payload_l"], r["card_l"])
@@ -33,21 +45,52 @@ def apply(aligned: DataFrame, op: str, inplace: bool = False, predict: bool = Tr
         if a is None or b is None:
             out = a or b
         elif op == "or":
-            if inplace and (a.kind, b.kind) != (C.ARRAY, C.ARRAY):
+            if (a.kind, b.kind) != (C.ARRAY, C.ARRAY):
                 if a.kind != C.BITMAP:
                     a, b = b, a
                 a = C.Box(a.kind, a.card, a.data.copy())  # the one buffer that the operation then overwrites
-            out = C.union(a, b, inplace=inplace and a.kind == C.BITMAP, predict=predict)
+            out = C.union(a, b, inplace=a.kind == C.BITMAP, predict=predict)
         elif op == "and":
-            if inplace and a.kind == b.kind == C.BITMAP:
+            if a.kind == b.kind == C.BITMAP:
                 a = C.Box(a.kind, a.card, a.data.copy())
-            out = C.intersection(a, b, inplace=inplace and a.kind == b.kind == C.BITMAP, method=method)
+            out = C.intersection(a, b, inplace=a.kind == b.kind == C.BITMAP, method=method)
         else:
             out = C.OPERATIONS[op](a, b)
         if out.card:
             yield r["pair"], r["key"], out.kind, out.card, out.payload
 
-    return kernel(aligned.select("pair", "key", "kind_l", "card_l", "payload_l", "kind_r", "card_r", "payload_r"), OUT, work)
+    return kernel(rows, OUT, work)
+
+
+NAMES = ["set_id", "key", "kind", "card", "payload"]
+
+
+def by_batch(op):
+    """mapInArrow function over aligned rows; op: two Stacks -> Stack. Containers of other kinds than array and bitmap are made canonical first."""
+
+    def plain(kind: pa.Array, payload: pa.Array) -> K.Stack:
+        if (pc.max(kind).as_py() or 0) > C.BITMAP:
+            boxes = [C.canonical(C.from_payload(k, p)) for k, p in zip(kind.to_pylist(), payload.to_pylist(), strict=True)]
+            kind, payload = pa.array([b.kind for b in boxes], pa.int8()), pa.array([b.payload for b in boxes], pa.binary())
+        return K.from_column(kind, payload)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            for i in range(0, whole.num_rows, 512):
+                b = whole.slice(i, 512)
+                left, right = (b.column(f"payload_{s}").is_valid() for s in "lr")
+                both = b.filter(pc.and_(left, right))
+                if both.num_rows:
+                    out = op(*(plain(both.column(f"kind_{s}"), both.column(f"payload_{s}")) for s in "lr"))
+                    some = np.flatnonzero(out.card)
+                    out, at = out.take(some), pa.array(some)
+                    yield pa.RecordBatch.from_arrays([both.column("pair").take(at), both.column("key").take(at), pa.array(out.kind), pa.array(out.card.astype(np.int32)), out.payloads()], NAMES)
+                for side, other in (("l", right), ("r", left)):
+                    alone = b.filter(pc.invert(other))
+                    if alone.num_rows:
+                        yield pa.RecordBatch.from_arrays([alone.column("pair"), alone.column("key"), *[alone.column(f"{c}_{side}") for c in ("kind", "card", "payload")]], NAMES)
+
+    return run
 
 
 def pair_op(containers: DataFrame, pairs: DataFrame, op: str, hint: str | None = None, prune: bool = False, **how) -> DataFrame:
@@ -81,10 +124,16 @@ def shared(containers: DataFrame, pairs: DataFrame) -> DataFrame:
     """(pair_id, shared): sizes of the intersections; no result container is written."""
     left, right = bind(containers, pairs.withColumnRenamed("left_set", "left"), "left"), bind(containers, pairs.withColumnRenamed("right_set", "right"), "right")
 
-    def count(r: dict):
-        yield r["pair"], C.shared_count(C.from_payload(r["kind_l"], r["payload_l"], r["card_l"]), C.from_payload(r["kind_r"], r["payload_r"], r["card_r"]))
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            for i in range(0, whole.num_rows, 512):
+                b = whole.slice(i, 512)
+                if b.num_rows:
+                    n = K.shared_counts(*(K.from_column(b.column(f"kind_{s}"), b.column(f"payload_{s}")) for s in "lr"))
+                    yield pa.RecordBatch.from_arrays([b.column("pair"), pa.array(n)], ["pair", "n"])
 
-    counted = kernel(align(left, right, "and").drop("key"), "pair string, n long", count).groupBy("pair").agg(F.sum("n").alias("n"))
+    met = align(left, right, "and").select("pair", "kind_l", "payload_l", "kind_r", "payload_r")
+    counted = met.mapInArrow(count, "pair string, n long").groupBy("pair").agg(F.sum("n").alias("n"))
     named = pairs.select("pair_id", F.col("pair_id").cast("string").alias("pair"))
     return named.join(counted, "pair", "left").select("pair_id", F.coalesce("n", F.lit(0)).alias("shared"))
 
@@ -114,10 +163,18 @@ def complement(containers: DataFrame, n: int) -> DataFrame:
     return kernel(rows.select("set_id", "key", "kind", "card", "payload"), OUT, flip)
 
 
+def held(table: DataFrame, id_col: str, containers: DataFrame, how: str) -> DataFrame:
+    """Rows meet the sets' words by an equi-join on id >> 6, and their bit is tested: up to 64 ids a joined row, none decoded."""
+    words = to_words(containers).groupBy(F.col("w").alias("_w")).agg(F.bit_or("word").alias("_word"))
+    ident = F.col(id_col).cast("long")
+    bit = F.col("_word").bitwiseAND(F.expr(f"shiftleft(1L, cast(`{id_col}` & 63 as int))"))
+    return table.join(words, (F.shiftright(ident, 6) == F.col("_w")) & (bit != 0), how)
+
+
 def rows_in(table: DataFrame, id_col: str, containers: DataFrame) -> DataFrame:
-    """The rows of table whose id is in any of the sets: membership by the sets' ids, which Spark joins by hash."""
-    return table.join(to_ids(containers).select(F.col("id").alias(id_col)).distinct(), id_col, "left_semi")
+    """The rows of table whose id is in any of the sets. table must not have columns _w and _word."""
+    return held(table, id_col, containers, "left_semi")
 
 
 def rows_not_in(table: DataFrame, id_col: str, containers: DataFrame) -> DataFrame:
-    return table.join(to_ids(containers).select(F.col("id").alias(id_col)).distinct(), id_col, "left_anti")
+    return held(table, id_col, containers, "left_anti")

@@ -108,8 +108,9 @@ PER_ID_SQL = "SELECT set_id, card, round(hybrid/card,6) AS hybrid, round(posfill
 
 
 def slots(spark: SparkSession, sf_dir: str, *sets: str) -> DataFrame:
+    """Ids may repeat: whatever is made of them, words, runs or containers, counts an id once."""
     ids = tables.lineitem_slots(spark, sf_dir)
-    return (ids.filter(F.col("set_id").isin(*sets)) if sets else ids).distinct()
+    return ids.filter(F.col("set_id").isin(*sets)) if sets else ids
 
 
 def pairs_of(spark: SparkSession, pairs: list[tuple] = PAIRS) -> DataFrame:
@@ -147,7 +148,7 @@ SELECT set_id, CAST(sum(CASE WHEN c<=4096 THEN 1 ELSE 0 END) AS BIGINT) AS array
 
 @query(CENSUS_SQL)
 def container_census(spark, sf_dir):
-    return B.census(B.build(slots(spark, sf_dir)))
+    return B.census_of_ids(slots(spark, sf_dir))
 
 
 @query("SELECT 'b'||n AS pair, CAST(k AS BIGINT) AS key, CAST(CASE WHEN n>4096 THEN 1 ELSE 0 END AS BIGINT) AS kind, CAST(n AS BIGINT) AS card FROM (VALUES (1),(4095),(4096),(4097),(65535),(65536)) t(n), range(2) s(k)")
@@ -211,9 +212,10 @@ def validate_clean(spark, sf_dir):
     return longs(B.violations(B.build(slots(spark, sf_dir))), "key")
 
 
-@query(f"WITH {ORDER_IDS} SELECT set_id, CAST(count(*) AS BIGINT) AS card, count(*)*64>15000 AS dense, count(*)*10000>15000 AND count(*)*64<=15000 AS moderate, count(*)*1000<15000 AS doubtful FROM ids GROUP BY 1")
+@query(f"WITH {ORDER_IDS} SELECT set_id, CAST(count(*) AS BIGINT) AS card, count(*)*64>n AS dense, count(*)*10000>n AND count(*)*64<=n AS moderate, count(*)*1000<n AS doubtful FROM ids, (SELECT max(o_orderkey)+1 AS n FROM orders) GROUP BY set_id, n")
 def suitability_bands(spark, sf_dir):
-    return B.suitability(tables.order_sets(spark, sf_dir), 15000)
+    ids = tables.order_sets(spark, sf_dir)
+    return B.suitability(ids, (ids.agg(F.max("id")).first()[0] or 0) + 1)
 
 
 BITS_SQL = f"""WITH {ORDER_IDS}, w AS (SELECT set_id, id>>6 AS w, bit_or(CAST(1 AS UBIGINT) << CAST(id & 63 AS INT)) AS word FROM ids WHERE set_id='ostatus=P' GROUP BY 1,2)
@@ -314,7 +316,7 @@ def register_pairs(name: str, op: str, pairs: list[tuple], make: Callable[..., D
 
 
 def row_sets(spark, sf_dir, *sets):
-    return tables.lineitem_rows(spark, sf_dir).filter(F.col("set_id").isin(*sets)).distinct()
+    return tables.lineitem_rows(spark, sf_dir).filter(F.col("set_id").isin(*sets))
 
 
 for _name, _op in (("and_pairs", "and"), ("or_pairs", "or"), ("andnot_pairs", "andnot"), ("xor_pairs", "xor")):
@@ -357,9 +359,10 @@ def jaccard_pairs(spark, sf_dir):
     return pairwise.pair_counts(B.build(slots(spark, sf_dir, *names_in(PAIRS))), pairs_of(spark)).select("pair_id", "jaccard_ppm")
 
 
-@query(f"WITH {SLOT_IDS}, s AS (SELECT DISTINCT set_id FROM ids WHERE set_id IN {listed(ACCESS)}), res AS (SELECT set_id, i AS id FROM s, range(130000) t(i) EXCEPT SELECT set_id, id FROM ids) SELECT set_id AS pair, {SHAPE} FROM res GROUP BY set_id, id>>16")
+@query(f"WITH {SLOT_IDS}, s AS (SELECT DISTINCT set_id FROM ids WHERE set_id IN {listed(ACCESS)}), res AS (SELECT set_id, i AS id FROM s, (SELECT unnest(range((SELECT max(id)+1 FROM ids))) AS i) EXCEPT SELECT set_id, id FROM ids) SELECT set_id AS pair, {SHAPE} FROM res GROUP BY set_id, id>>16")
 def complement(spark, sf_dir):
-    return shape(pairwise.complement(B.build(slots(spark, sf_dir, *ACCESS)), 130000))
+    n = (slots(spark, sf_dir).agg(F.max("id")).first()[0] or 0) + 1
+    return shape(pairwise.complement(B.build(slots(spark, sf_dir, *ACCESS)), n))
 
 
 @query(pair_sql(SLOT_IDS, values(PAIRS), "and", "SELECT pair_id, id FROM res"))
@@ -374,7 +377,7 @@ MANY_SQL = f"WITH {ROW_IDS}, res AS (SELECT DISTINCT id FROM ids WHERE set_id LI
 
 def many(strategy: str):
     def run(spark, sf_dir):
-        ids = tables.lineitem_rows(spark, sf_dir).filter("set_id like 'day=1996-%'").distinct()
+        ids = tables.lineitem_rows(spark, sf_dir).filter("set_id like 'day=1996-%'")
         c = B.build(ids)
         groups = ids.select("set_id").distinct().withColumn("group_id", F.lit("y"))
         return shape(manyway.union_all(c, groups, strategy))
@@ -385,6 +388,13 @@ def many(strategy: str):
 for _s, _n in (("buffer", "union_all_heap"), ("pairwise", "union_all_pairwise"), ("words", "union_all_words"), ("builtin", "union_all_builtin")):
     QUERIES[_n], ORACLES[_n] = many(_s), MANY_SQL
 
+@query(f"WITH {ROW_IDS}, res AS (SELECT DISTINCT id FROM ids WHERE split_part(set_id,'=',1)='part' AND CAST(split_part(set_id,'=',2) AS INT)<200) SELECT 'p' AS pair, {SHAPE} FROM res GROUP BY id>>16")
+def union_200_parts(spark, sf_dir):
+    names = [f"part={i}" for i in range(200)]
+    c = B.build(row_sets(spark, sf_dir, *names))
+    return shape(manyway.union_all(c, spark.createDataFrame([("p", n) for n in names], "group_id string, set_id string")))
+
+
 GROUPS = [("g1", "flag=A"), ("g1", "status=F"), ("g1", "disc=5"), ("g2", "flag=R"), ("g2", "qty=7"), ("g2", "tax=3")]
 GROUP_SQL = "gr AS (SELECT * FROM (VALUES " + ",".join(f"('{g}','{s}')" for g, s in GROUPS) + ") t(group_id,set_id)), m AS (SELECT group_id, id, count(*) AS n FROM gr JOIN ids USING (set_id) GROUP BY 1,2)"
 
@@ -555,7 +565,7 @@ def synthetic_sets(spark, dist, exponents, seeds=(42,)):
         for s in seeds:
             one = tables.synthetic(spark, e, dist, s)
             out = one if out is None else out.union(one)
-    return out.distinct()
+    return out
 
 
 for _d in ("uniform", "beta"):
@@ -579,14 +589,13 @@ def sample_sql(which: int, pairs: int = N_PAIRS) -> str:
 
 @query(f"WITH {sample_sql(4)} SELECT * FROM pairs")
 def sample_pairs(spark, sf_dir):
-    return workloads.sample_pairs(workloads.real_sets(spark, sf_dir, 4), N_PAIRS)
+    return workloads.sample_pairs(workloads.set_names(spark, sf_dir, 4), N_PAIRS)
 
 
 def _real(which: int, op: str):
     def run(spark, sf_dir):
-        ids = saved(workloads.real_sets(spark, sf_dir, which), "real")
-        pairs = saved(workloads.sample_pairs(ids, N_PAIRS), "pairs")
-        out = pairwise.pair_op(B.build(workloads.of_pairs(ids, pairs)), pairs, op)
+        pairs = saved(workloads.sample_pairs(workloads.set_names(spark, sf_dir, which), N_PAIRS), "pairs")
+        out = pairwise.pair_op(B.build(workloads.of_pairs(workloads.real_sets(spark, sf_dir, which), pairs)), pairs, op)
         return out.groupBy(F.col("set_id").alias("pair")).agg(F.sum("card").alias("card"))
 
     return run
@@ -602,8 +611,8 @@ SAMPLED = "used AS (SELECT * FROM ids WHERE set_id IN (SELECT left_set FROM pair
 
 def _table(which: int, what: str):
     def run(spark, sf_dir):
-        ids = saved(workloads.real_sets(spark, sf_dir, which), "real")
-        used = workloads.of_pairs(ids, workloads.sample_pairs(ids, N_PAIRS))
+        pairs = saved(workloads.sample_pairs(workloads.set_names(spark, sf_dir, which), N_PAIRS), "pairs")
+        used = workloads.of_pairs(workloads.real_sets(spark, sf_dir, which), pairs)
         if what == "expansion":
             return measures.expansion(measures.sizes(used))
         n = {1: "lineitem", 2: "orders", 3: "events", 4: "lineitem"}[which]
@@ -619,6 +628,38 @@ for _w in (1, 2, 3, 4):
  SELECT CAST((SELECT count(*) FROM {_n}) AS BIGINT) AS n_rows, CAST(count(*) AS BIGINT) AS sets, round(avg(card/(SELECT count(*) FROM {_n})),8) AS density, round(sum(bits)/sum(card),6) AS bits_per_item FROM hy"""
     ORACLES[f"table2_expansion_{_w}"] = f"WITH {sample_sql(_w)}, {SAMPLED}, " + SIZE_SQL.replace("FROM ids", "FROM used") + f", {EXPANSION_SQL}"
 
+
+@query(f"WITH {USER_MS_IDS}, {SIZE_SQL}, {EXPANSION_SQL}")
+def table2_expansion_5(spark, sf_dir):
+    """The data that the hybrid doesn't suit: few ids in a wide universe."""
+    return measures.expansion(measures.sizes(workloads.real_sets(spark, sf_dir, 5)))
+
+
+@query(f"WITH ids AS (SELECT 'period=62' AS set_id, 62*i AS id FROM range(100000) t(i) UNION ALL SELECT 'period=31', 31*i FROM range(100000) t(i)), {SIZE_SQL} {PER_ID_SQL}")
+def period_sizes(spark, sf_dir):
+    return measures.bits_per_id(measures.sizes(tables.range_set(spark, 0, 6_200_000, 62, "period=62").union(tables.range_set(spark, 0, 3_100_000, 31, "period=31"))))
+
+
+PACKED_SQL = f"""WITH {SLOT_IDS}, v AS (SELECT set_id, id>>16 AS key, id, lead(id) OVER (PARTITION BY set_id, id>>16 ORDER BY id)-id-1 AS gap FROM ids),
+ c AS (SELECT set_id, key, count(*) AS n, greatest(1, length(ltrim(bin(coalesce(max(gap),0)),'0'))) AS width FROM v GROUP BY 1,2)
+ SELECT set_id, CAST(sum(CASE WHEN n=1 THEN 21 ELSE 21+(n-1)*width END) AS BIGINT) AS packed_bits, CAST(sum(16*n) AS BIGINT) AS array_bits FROM c WHERE n<=4096 GROUP BY 1"""
+
+
+@query(PACKED_SQL)
+def packed_arrays(spark, sf_dir):
+    """Array containers with their gaps packed at one width each; every one is unpacked again, and raises if it differs."""
+
+    def work(r: dict):
+        box = C.from_payload(r["kind"], r["payload"])
+        if C.unpack_gaps(C.pack_gaps(box), box.card).payload != box.payload:
+            raise ValueError("a packed container differs from its values")
+        yield r["set_id"], C.packed_bits(box), 16 * box.card
+
+    arrays = B.build(slots(spark, sf_dir)).filter(F.col("kind") == C.ARRAY).select("set_id", "kind", "payload")
+    bits = B.kernel(arrays, "set_id string, packed long, plain long", work)
+    return bits.groupBy("set_id").agg(F.sum("packed").alias("packed_bits"), F.sum("plain").alias("array_bits"))
+
+
 SORT_SQL = "nums AS (SELECT l_returnflag, row_number() OVER (ORDER BY {order})-1 AS id FROM lineitem), ids AS (SELECT '{tag}flag='||l_returnflag AS set_id, id FROM nums)"
 
 
@@ -664,7 +705,7 @@ TERMS = [(1, "the", "and"), (2, "the", "of"), (3, "de", "le")]
 
 
 def posting_lists(spark, sf_dir, *words):
-    return tables.terms(spark, sf_dir).filter(F.col("set_id").isin(*words)).distinct()
+    return tables.terms(spark, sf_dir).filter(F.col("set_id").isin(*words))
 
 
 for _op in ("and", "or"):
@@ -805,6 +846,35 @@ def sql_functions(spark, sf_dir):
     )
 
 
+POINT_SQL = f"""WITH {SLOT_IDS}, x AS (SELECT id>>16 AS key, id & 65535 AS low FROM ids WHERE set_id='flag=A'), n AS (SELECT *, row_number() OVER (PARTITION BY key ORDER BY low)-1 AS j FROM x)
+SELECT CAST(key AS BIGINT) AS key, CAST(count(*) AS BIGINT) AS card, CAST(count(*) FILTER (low<=5000) AS BIGINT) AS up_to_5000, CAST(max(CASE WHEN j=7 THEN low END) AS BIGINT) AS eighth, coalesce(bool_or(low=36),false) AS has_36 FROM n GROUP BY key"""
+
+
+@query(POINT_SQL)
+def sql_point_functions(spark, sf_dir):
+    udfs.register(spark)
+    B.build(slots(spark, sf_dir, "flag=A")).createOrReplaceTempView("chunkset_one")
+    return spark.sql(
+        """SELECT CAST(key AS BIGINT) AS key, CAST(hb_card(kind, payload) AS BIGINT) AS card, CAST(hb_rank(kind, payload, 5000) AS BIGINT) AS up_to_5000,
+        CAST(hb_select(kind, payload, 7) AS BIGINT) AS eighth, hb_contains(kind, payload, 36) AS has_36 FROM chunkset_one"""
+    )
+
+
+@query(f"WITH {SLOT_IDS}, a AS (SELECT id FROM ids WHERE set_id='flag=A'), b AS (SELECT id FROM ids WHERE set_id='disc=5'), n AS (SELECT id, count(*) AS c FROM (SELECT id FROM a UNION ALL SELECT id FROM b) GROUP BY id) SELECT CAST(id>>16 AS BIGINT) AS key, CAST(count(*) FILTER (c=1) AS BIGINT) AS n_xor, CAST(count(*) FILTER (c=2) AS BIGINT) AS n_both FROM n GROUP BY id>>16 HAVING count(*) FILTER (c=2)>0")
+def sql_xor_and_aggregate(spark, sf_dir):
+    udfs.register(spark)
+    c = B.build(slots(spark, sf_dir, "flag=A", "disc=5"))
+    c.createOrReplaceTempView("chunkset_pair")
+    x = spark.sql("SELECT a.key, CAST(hb_xor(a.kind, a.payload, b.kind, b.payload).card AS BIGINT) AS n_xor FROM (SELECT * FROM chunkset_pair WHERE set_id = 'flag=A') a JOIN (SELECT * FROM chunkset_pair WHERE set_id = 'disc=5') b ON a.key = b.key")
+    both = c.groupBy("key").agg(udfs.hb_intersect_card("kind", "payload").alias("n_both")).filter("n_both > 0")
+    return x.join(both, "key").select(F.col("key").cast("long").alias("key"), "n_xor", "n_both")
+
+
+@query(f"WITH ids AS (SELECT DISTINCT 'type='||event_type AS set_id, datediff('second', TIMESTAMP '2024-01-01', ts) AS id FROM events) SELECT set_id AS pair, {SHAPE} FROM ids GROUP BY set_id, id>>16")
+def event_seconds(spark, sf_dir):
+    return shape(B.build(tables.event_sets(spark, sf_dir, "ev_sec").filter("set_id like 'type=%'")))
+
+
 @query("WITH x AS (SELECT o_orderkey AS id FROM orders WHERE o_orderstatus IN ('P','F')) SELECT CAST(id>>16 AS BIGINT) AS key, CAST(count(*) AS BIGINT) AS n FROM x GROUP BY id>>16")
 def udaf_union(spark, sf_dir):
     c = B.build(tables.order_sets(spark, sf_dir).filter("set_id in ('ostatus=P', 'ostatus=F')"))
@@ -883,8 +953,7 @@ def stream_containers(spark, sf_dir):
 
 def entry(spark: SparkSession, sf_dir: str) -> DataFrame:
     """AND of sampled pairs of line-item sets."""
-    ids = saved(workloads.real_sets(spark, sf_dir, 4), "entry")
-    pairs = saved(workloads.sample_pairs(ids, 20), "entry-pairs")
-    return shape(pairwise.intersect_pairs(B.build(workloads.of_pairs(ids, pairs)), pairs))
+    pairs = saved(workloads.sample_pairs(workloads.set_names(spark, sf_dir, 4), 20), "entry-pairs")
+    return shape(pairwise.intersect_pairs(B.build(workloads.of_pairs(workloads.real_sets(spark, sf_dir, 4), pairs)), pairs))
 
 

@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-from functools import reduce
-
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -15,20 +13,16 @@ SCHEMES = ("hybrid", "posfill", "fillrun", "plain")
 
 
 def hybrid_counts(ids: DataFrame) -> DataFrame:
-    """(set_id, key, card) of the containers that the ids would make, without making them."""
-    return ids.groupBy("set_id", F.shiftright("id", 16).alias("key")).agg(F.countDistinct("id").alias("card"))
+    """(set_id, key, card, last_word) of the containers that the ids would make, without making them. Ids that repeat count once."""
+    words = baselines.plain_words(ids)
+    return words.groupBy("set_id", F.shiftright("widx", 10).alias("key")).agg(F.sum(F.bit_count("word")).cast("long").alias("card"), F.max("widx").alias("last_word"))
 
 
 def sizes(ids: DataFrame, overhead: int = OVERHEAD) -> DataFrame:
-    """(set_id, card, hybrid, posfill, fillrun, plain): bits of each encoding of each set."""
-    hybrid = hybrid_counts(ids).groupBy("set_id").agg(F.sum("card").alias("card"), (F.sum(payload_bytes() + overhead) * 8).alias("hybrid"))
-    parts = [
-        hybrid,
-        baselines.word_counts(ids, "posfill").select("set_id", (F.col("words") * 32).alias("posfill")),
-        baselines.word_counts(ids, "fillrun").select("set_id", (F.col("words") * 32).alias("fillrun")),
-        baselines.plain_sizes(ids).select("set_id", (F.col("words") * 64).alias("plain")),
-    ]
-    return reduce(lambda a, b: a.join(b, "set_id"), parts)
+    """(set_id, card, hybrid, posfill, fillrun, plain): bits of each encoding of each set, from one list of words and one of runs."""
+    words = hybrid_counts(ids).groupBy("set_id").agg(F.sum("card").alias("card"), (F.sum(payload_bytes() + overhead) * 8).alias("hybrid"), ((F.max("last_word") + 1) * 64).alias("plain"))
+    runs = baselines.both_word_counts(ids).select("set_id", (F.col("posfill") * 32).alias("posfill"), (F.col("fillrun") * 32).alias("fillrun"))
+    return words.join(runs, "set_id").select("set_id", "card", *SCHEMES)
 
 
 def bits_per_id(sized: DataFrame) -> DataFrame:

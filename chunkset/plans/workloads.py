@@ -19,7 +19,7 @@ REAL = {
 
 
 def real_sets(spark: SparkSession, sf_dir: str, which: int) -> DataFrame:
-    """Distinct (set_id, id) of the stand-in: dense line items, orders, events in time order, line-item slots, users by millisecond."""
+    """(set_id, id) of the stand-in, which may repeat: dense line items, orders, events in time order, line-item slots, users by millisecond."""
     rows = {
         1: lambda: tables.lineitem_rows(spark, sf_dir),
         2: lambda: tables.order_sets(spark, sf_dir),
@@ -27,11 +27,20 @@ def real_sets(spark: SparkSession, sf_dir: str, which: int) -> DataFrame:
         4: lambda: tables.lineitem_slots(spark, sf_dir),
         5: lambda: tables.event_sets(spark, sf_dir, "ev_ms"),
     }[which]()
-    return rows.filter(F.substring_index("set_id", "=", 1).isin(*REAL[which])).distinct()
+    return rows.filter(F.substring_index("set_id", "=", 1).isin(*REAL[which]))
+
+
+def set_names(spark: SparkSession, sf_dir: str, which: int) -> DataFrame:
+    """The distinct names of real_sets, without its ids."""
+    if which in (1, 4):
+        t = tables.read_table(spark, sf_dir, "lineitem")
+        named = tables.to_id_sets(t, F.lit(0), tables.lineitem_attributes() | {"supp": F.col("l_suppkey"), "day": F.to_date("l_shipdate")})
+        return named.filter(F.substring_index("set_id", "=", 1).isin(*REAL[which])).select("set_id").distinct()
+    return real_sets(spark, sf_dir, which).select("set_id").distinct()
 
 
 def sample_pairs(ids: DataFrame, pairs: int = 100, seed: int = 42) -> DataFrame:
-    """(pair_id, left_set, right_set): attributes drawn with replacement, then one of each one's sets, by a hash that SQL can repeat."""
+    """(pair_id, left_set, right_set) of the sets that ids names: attributes drawn with replacement, then one of each one's sets, by a hash that SQL can repeat."""
     sets = ids.select("set_id").distinct().withColumn("attr", F.substring_index("set_id", "=", 1))
     by_attr = sets.withColumn("v", F.row_number().over(W.partitionBy("attr").orderBy("set_id")) - 1).withColumn("n", F.count(F.lit(1)).over(W.partitionBy("attr")))
     names = sorted(r["attr"] for r in sets.select("attr").distinct().collect())  # columns of a table: a handful
