@@ -173,11 +173,13 @@ def remove(words: np.ndarray, codec: str, x: int) -> np.ndarray:
 
 
 def plain_encode(ids: np.ndarray) -> np.ndarray:
-    ids = np.asarray(ids, np.int64)
-    n = (int(ids.max()) >> 6) + 1 if len(ids) else 0
-    flags = np.zeros(n * 64, np.uint8)
-    flags[ids] = 1
-    return np.packbits(flags, bitorder="little").view(np.uint64) if n else np.empty(0, np.uint64)
+    ids = np.unique(np.asarray(ids, np.int64))
+    if not len(ids):
+        return np.empty(0, np.uint64)
+    out, at = np.zeros((int(ids[-1]) >> 6) + 1, np.uint64), ids >> 6
+    first = np.flatnonzero(np.append(True, at[1:] != at[:-1]))
+    out[at[first]] = np.bitwise_or.reduceat(np.uint64(1) << (ids & 63).astype(np.uint64), first)
+    return out
 
 
 def plain_set(words: np.ndarray, x: int) -> np.ndarray:
