@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from chunkset.llm.common import Memo, bounded_text, parts, raw, read, small_batches
+from chunkset.llm.common import Memo, bounded_text, parts, raw, read, small_batches, tidy
 
 #: Unicode White_Space; a cell is a run of it and the run of other characters after it. Every pre-token ends with its cell.
 SPACE = "\t-\r \x85\xa0" + "".join(map(chr, (0x1680, *range(0x2000, 0x200B), 0x2028, 0x2029, 0x202F, 0x205F, 0x3000)))
@@ -167,7 +167,7 @@ def _apply(df: DataFrame, text_col: str, added: dict[str, str], per_text, vocabu
             new = [pa.array([r[i] for r in rows], kinds[t]) for i, t in enumerate(added.values())]
             yield pa.RecordBatch.from_arrays([*b.columns[:-1], *new], [*keep, *added])
 
-    return small_batches(df).select(*[F.col(f"`{c}`") for c in keep], bounded_text(text_col)).mapInArrow(run, schema)
+    return small_batches(df).select(*[F.col(f"`{c}`") for c in keep], bounded_text(text_col)).mapInArrow(tidy(run), schema)
 
 
 def encode_texts(df: DataFrame, text_col: str = "text", vocabulary: str = "byte_bpe_50k.tiktoken") -> DataFrame:

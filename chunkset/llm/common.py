@@ -3,10 +3,14 @@
 from __future__ import annotations
 
 import atexit
+import ctypes
+import gc
 import shutil
 import tempfile
 import uuid
 from collections.abc import Callable, Iterator
+from contextlib import suppress
+from functools import wraps
 from sys import getsizeof
 
 import numpy as np
@@ -143,6 +147,20 @@ def sorted_runs(batches: Iterator[pa.RecordBatch], keys: list[str], at_least: in
         yield pa.Table.from_batches(held).combine_chunks()
 
 
+def tidy(run: Callable) -> Callable:
+    """run, whose worker gives what it no longer needs back to the system at its end: workers are kept, and executors hold several."""
+
+    @wraps(run)
+    def tidied(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        yield from run(batches)
+        gc.collect()
+        pa.default_memory_pool().release_unused()
+        with suppress(OSError, AttributeError):  # where the C library has no such call
+            ctypes.CDLL(None).malloc_trim(0)
+
+    return tidied
+
+
 def run_starts(*cols: np.ndarray) -> np.ndarray:
     """Where groups of equal keys begin, with the length at the end."""
     n = len(cols[0])

@@ -22,7 +22,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from chunkset.llm.common import WORD_GAP, read, run_starts, saved, small_batches, sorted_runs
+from chunkset.llm.common import WORD_GAP, read, run_starts, saved, small_batches, sorted_runs, tidy
 
 WEIGHTS, SHARE, MOST = (3, 1, 2), 1.5, 2.0
 BLOCK_ROWS, HELD, BROADCAST_SOURCES, AT_ONCE = 256, 10, 10_000, 10_000
@@ -112,7 +112,7 @@ def flight(units: DataFrame, land: bool) -> DataFrame:
 
     keyed = units.withColumn("u", F.pmod(F.xxhash64("unit", F.lit(7)), F.lit(1 << 30)) / F.lit(float(1 << 30)))
     dealt = keyed.repartition("source_no", "block").sortWithinPartitions("source_no", "block", "unit", "size")
-    return dealt.select(*kept, "block", "p", "u").mapInArrow(run, "source_no long, unit long, row_key struct<a:bigint,b:bigint>, doc_id long, size long, base long, p double")
+    return dealt.select(*kept, "block", "p", "u").mapInArrow(tidy(run), "source_no long, unit long, row_key struct<a:bigint,b:bigint>, doc_id long, size long, base long, p double")
 
 
 def in_blocks(units: DataFrame, level: int, counts: DataFrame) -> DataFrame:

@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from chunkset.llm.common import bounded_text, components, discard, into_blocks, parts, raw, run_starts, saved, small_batches, sorted_runs
+from chunkset.llm.common import bounded_text, components, discard, into_blocks, parts, raw, run_starts, saved, small_batches, sorted_runs, tidy
 from chunkset.llm.privacy import either_way
 from chunkset.llm.simhash import fingerprint, fingerprint_links, shingle_hashes
 
@@ -60,7 +60,7 @@ def shingle_sets(texts: DataFrame, words: int, whole: bool = False) -> DataFrame
                 fps = pa.array(np.array([fingerprint(x) for x in lists], np.uint64).view(np.int64))
                 yield pa.RecordBatch.from_arrays([b.column("id"), b.column("text_key"), nodes, some, fps, bands], ["id", "text_key", "node", "some", "fp", "bands"])
 
-    return small_batches(texts).mapInArrow(run, "node long, hashes binary" if whole else "id long, text_key long, node long, some boolean, fp long, bands array<long>")
+    return small_batches(texts).mapInArrow(tidy(run), "node long, hashes binary" if whole else "id long, text_key long, node long, some boolean, fp long, bands array<long>")
 
 
 def forest(nodes: np.ndarray, block: np.ndarray, sets: list[np.ndarray], at_least: float, across: bool) -> tuple[list[int], list[int]]:
@@ -123,7 +123,7 @@ def links_of(texts: DataFrame, distinct: DataFrame, words: int, at_least: float)
                 v += y
             yield pa.RecordBatch.from_arrays([pa.array(u, pa.int64()), pa.array(v, pa.int64())], ["u", "v"])
 
-    return dealt.select(*order, "block", "node", "hashes").mapInArrow(run, "u long, v long")
+    return dealt.select(*order, "block", "node", "hashes").mapInArrow(tidy(run), "u long, v long")
 
 
 def near_copies(docs: DataFrame, words: int = 5, at_least: float = 0.8) -> DataFrame:

@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from chunkset.llm.common import Memo, bounded_text, parts, raw, read, saved, small_batches
+from chunkset.llm.common import Memo, bounded_text, parts, raw, read, saved, small_batches, tidy
 
 SAMPLE_ROWS, BUCKETS, FACTORS, EPOCHS, BATCH = 8_000, 1 << 16, 8, 4, 128
 CACHED_BYTES = 16 << 20
@@ -140,7 +140,7 @@ def train(docs: DataFrame, labels: DataFrame, label: str = "quality", sample_row
             at, x = ([np.asarray(m[i], t).tobytes() for m in made] for i, t in ((0, np.int32), (1, np.float32)))
             yield pa.RecordBatch.from_arrays([b.column(3), pa.array(at, pa.binary()), pa.array(x, pa.binary()), b.column(2)], ["doc_id", "at", "x", "y"])
 
-    found = labelled_sample(small_batches(docs), labels, label, sample_rows).select(bounded_text(), "n_chars", "label_is", F.col("doc_id").cast("long").alias("doc_id")).mapInArrow(run, "doc_id long, at binary, x binary, y int")
+    found = labelled_sample(small_batches(docs), labels, label, sample_rows).select(bounded_text(), "n_chars", "label_is", F.col("doc_id").cast("long").alias("doc_id")).mapInArrow(tidy(run), "doc_id long, at binary, x binary, y int")
     t = saved(found, "training-features").toArrow().sort_by("doc_id")
     rows = [(np.frombuffer(a, np.int32).astype(np.int64), np.frombuffer(x, np.float32).astype(float), y) for a, x, y in zip(t.column("at").to_pylist(), t.column("x").to_pylist(), t.column("y").to_pylist(), strict=True)]
     return fit(rows)
@@ -160,7 +160,7 @@ def score(docs: DataFrame, machine: Machine, text_col: str = "text", with_text:
             yield pa.RecordBatch.from_arrays([*b.columns[: at + with_text], pa.array(p)], [*keep, *[text_col] * with_text, "score"])
 
     declared = F.col("n_chars").cast("long") if "n_chars" in docs.columns else F.lit(None).cast("long")
-    scored = small_batches(docs).select(*[F.col(f"`{c}`") for c in keep], F.col(f"`{text_col}`").cast("binary").alias(text_col), declared.alias("declared")).mapInArrow(run, schema)
+    scored = small_batches(docs).select(*[F.col(f"`{c}`") for c in keep], F.col(f"`{text_col}`").cast("binary").alias(text_col), declared.alias("declared")).mapInArrow(tidy(run), schema)
     if not with_text:
         return scored
     return scored.select(*[(F.col(f"`{c}`").cast("string") if c == text_col else F.col(f"`{c}`")).alias(c) for c in docs.columns if c != "score"], "score")

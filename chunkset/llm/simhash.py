@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from chunkset.llm.common import bounded_text, components, into_blocks, parts, raw, read, run_starts, saved, small_batches, sorted_runs, star_links
+from chunkset.llm.common import bounded_text, components, into_blocks, parts, raw, read, run_starts, saved, small_batches, sorted_runs, star_links, tidy
 
 BITS, SEED, BLOCK_ROWS, PAIRS_AT_ONCE = 64, 42, 192, 400_000
 
@@ -60,7 +60,7 @@ def fingerprints(df: DataFrame, id_col: str = "doc_id", text_col: str = "text",
             fps = np.fromiter((fingerprint(shingle_hashes(raw(x), words)) for x in b.column(1)), np.uint64, b.num_rows)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(fps.view(np.int64))], ["id", "fp"])
 
-    return small_batches(df).select(F.col(id_col).cast("long").alias("id"), bounded_text(text_col)).mapInArrow(run, "id long, fp long")
+    return small_batches(df).select(F.col(id_col).cast("long").alias("id"), bounded_text(text_col)).mapInArrow(tidy(run), "id long, fp long")
 
 
 # -- the plan: partitions of bits, and what a probe of each radius would meet ---------------------------------------
@@ -229,7 +229,7 @@ def keys(fps: DataFrame, groups: list[list[int]], counts: list[np.ndarray], dist
                     v, f, p = (np.concatenate(x) for x in zip(*out, strict=True))
                     yield pa.RecordBatch.from_arrays([pa.array(np.full(len(v), k, np.int32)), pa.array(v.astype(np.int64)), pa.array(f), pa.array(p.astype(np.int8))], ["part", "value", "fp", "probe"])
 
-    return fps.select("fp").mapInArrow(run, "part int, value long, fp long, probe byte")
+    return fps.select("fp").mapInArrow(tidy(run), "part int, value long, fp long, probe byte")
 
 
 def close_pairs(fp: np.ndarray, block: np.ndarray, lo: np.ndarray, hi: np.ndarray, probe: np.ndarray, cuts: np.ndarray, distance: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
@@ -280,7 +280,7 @@ def fingerprint_links(fps: DataFrame, distance: int = 3, parts: int = 4) -> Data
                 a, b = star_links(u, v)
                 yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], ["u", "v"])
 
-    return dealt.select("part", "value", "lo", "hi", "block", "fp", "probe").mapInArrow(run, "u long, v long")
+    return dealt.select("part", "value", "lo", "hi", "block", "fp", "probe").mapInArrow(tidy(run), "u long, v long")
 
 
 def near_duplicates(docs: DataFrame, words: int = 5, distance: int = 3, parts: int = 4) -> DataFrame:
