@@ -2,7 +2,7 @@
 
 queries: seconds of each query, counted to its last row. kernels_us: AND and OR of pairs of sets in memory in each scheme, after a warm-up
 that isn't counted, the mean of up to 100 rounds over all pairs (fewer where a round is long; the number is given). real*: the
-experiment's 100 sampled pairs of each stand-in for a real data set; factors are sums over the pairs, a scheme's over the hybrid's.
+experiment's 100 sampled pairs of each stand-in for a real data set (real1_wide: 20 of them, rows spread 64 apart); factors are sums over the pairs, a scheme's over the hybrid's.
 density_*: two sets of 100,000 draws for each density. point: one append of a new maximum, one removal of a random member.
 work: what the step-by-step operations count on the first pairs.
 """
@@ -25,10 +25,11 @@ from chunkset.functions import batch as K  # noqa: E402
 from chunkset.functions import containers as C  # noqa: E402
 from chunkset.functions import runs as R  # noqa: E402
 from chunkset.plans import catalog, workloads  # noqa: E402
+from chunkset.sources import tables  # noqa: E402
 from chunkset.sources.storage import saved  # noqa: E402
 
 HEADLINE = ("container_census", "and_pairs", "or_pairs", "and_card", "union_all_heap", "union_all_words", "threshold_t_of_k", "real1_and", "real1_or", "real2_and", "real3_and", "real4_and", "real4_or", "real5_and", "star_filter", "inverted_and", "bits_per_int_table", "table2_expansion_1", "table2_expansion_3", "distinct_users_rollup")
-ROUNDS, SECONDS, PLAIN_MB = 100, 0.4, 2000
+ROUNDS, SECONDS, PLAIN_MB, WIDE_PAIRS = 100, 0.4, 2000, 20
 CODECS = ("posfill", "fillrun")
 SCHEMES = ("hybrid", *CODECS, "plain")
 
@@ -70,10 +71,10 @@ def compared(pairs: list[tuple[np.ndarray, np.ndarray]]) -> dict:
     return out
 
 
-def real_pairs(spark: SparkSession, sf_dir: str, which: int) -> list[tuple[np.ndarray, np.ndarray]]:
-    """The sampled pairs' ids, in the driver: two hundred sets."""
+def real_pairs(spark: SparkSession, sf_dir: str, which: int, stretch: int = 1) -> list[tuple[np.ndarray, np.ndarray]]:
+    """The sampled pairs' ids, in the driver: two hundred sets. stretch spreads the rows of the first stand-in over a wider universe."""
     pairs = saved(workloads.sample_pairs(workloads.set_names(spark, sf_dir, which), catalog.N_PAIRS), "bench-pairs")
-    found = workloads.of_pairs(workloads.real_sets(spark, sf_dir, which), pairs).distinct().orderBy("set_id", "id").toArrow()
+    found = workloads.of_pairs(workloads.real_sets(spark, sf_dir, which) if stretch == 1 else tables.lineitem_rows(spark, sf_dir, stretch), pairs).distinct().orderBy("set_id", "id").toArrow()
     names = found.column("set_id").combine_chunks().dictionary_encode()
     ids, cuts = found.column("id").to_numpy(), np.append(np.flatnonzero(np.diff(names.indices.to_numpy(), prepend=-1)), found.num_rows)
     sets = {names.dictionary[names.indices[int(a)].as_py()].as_py(): ids[a:b] for a, b in zip(cuts[:-1], cuts[1:], strict=True)}
@@ -133,6 +134,7 @@ def kernels(spark: SparkSession, sf_dir: str) -> dict:
     for which in workloads.REAL:
         pairs = real_pairs(spark, sf_dir, which)
         out[f"real{which}"] = compared(pairs) | {"work": work(pairs[:10])}
+    out["real1_wide"] = compared(real_pairs(spark, sf_dir, 1, 64)[:WIDE_PAIRS])
     for dist in ("uniform", "beta"):
         out[f"density_{dist}"] = {f"2^-{e}": compared([(draws(rng, e, dist), draws(rng, e, dist))]) for e in (1, 2, 3, 4, 5, 6, 8, 10)}
     out["point_us"] = {f"2^-{e}": points(rng, e) for e in (1, 4, 7, 10)}

@@ -15,7 +15,8 @@ import pyarrow as pa
 from chunkset.functions import containers as C
 
 UNITS = 4 * C.WORDS  # 16-bit units of a bitmap
-FULL = np.arange(UNITS)
+#: Values a pair of containers from which marks beat a sort; containers that are marked at once.
+MARKED, AT_ONCE = 700, 32
 
 
 @dataclass
@@ -44,20 +45,27 @@ class Stack:
         """The units of all containers in order."""
         size = self.units()
         at = np.append(0, np.cumsum(size)[:-1])
-        if (self.start == at).all() and len(self.data) == size.sum():
-            return self.data
-        return self.data[np.repeat(self.start - at, size) + np.arange(int(size.sum()))]
+        if (np.diff(self.start) == size[:-1]).all():
+            first = int(self.start[0]) if len(self) else 0
+            return self.data[first : first + int(size.sum())]
+        out, sparse = np.empty(int(size.sum()), np.uint16), np.flatnonzero(self.kind == C.ARRAY)
+        if len(sparse):
+            n = size[sparse]
+            within = np.arange(int(n.sum())) - np.repeat(np.cumsum(n) - n, n)
+            out[np.repeat(at[sparse], n) + within] = self.data[np.repeat(self.start[sparse], n) + within]
+        for a, s in zip(at[self.kind == C.BITMAP].tolist(), self.start[self.kind == C.BITMAP].tolist(), strict=True):
+            out[a : a + UNITS] = self.data[s : s + UNITS]
+        return out
 
     def values(self) -> tuple[np.ndarray, np.ndarray]:
-        """Row and value of every member of arrays, as row << 16 | value, and the rows. For stacks of arrays only."""
-        row = np.repeat(np.arange(len(self)), self.card)
-        at = np.cumsum(self.card) - self.card
-        return row << 16 | self.data[np.repeat(self.start - at, self.card) + np.arange(len(row))], row
+        """Row and value of every member of arrays, as row << 16 | value, and the rows. For stacks of arrays only, of at most 65,536."""
+        row = np.repeat(np.arange(len(self), dtype=np.uint32), self.card)
+        return row << np.uint32(16) | self.flat(), row
 
-    def words(self) -> np.ndarray:
-        """One row of 64-bit words each. For stacks of bitmaps only; a copy, unless they lie in order."""
+    def words(self, own: bool = False) -> np.ndarray:
+        """One row of 64-bit words each. For stacks of bitmaps only; a copy if own, or unless they lie in order."""
         n = len(self)
-        if n and (np.diff(self.start) == UNITS).all():
+        if n and not own and (np.diff(self.start) == UNITS).all():
             part = self.data[self.start[0] : self.start[0] + n * UNITS]
             if part.ctypes.data % 8 == 0:
                 return part.view(np.uint64).reshape(n, C.WORDS)
@@ -98,13 +106,14 @@ def of_words(words: np.ndarray, card: np.ndarray) -> Stack:
         keep = words if (kind == C.BITMAP).all() else words[kind == C.BITMAP]
         return Stack(kind, card, start, np.ascontiguousarray(keep).view(np.uint16).ravel())
     data = np.empty(int(units.sum()), np.uint16)
-    picked = words[sparse]
-    at, which = np.nonzero(picked)  # of sparse containers most words are empty
-    bits = np.unpackbits(picked[at, which].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little")
-    w, bit = np.nonzero(bits)
-    row = sparse[at[w]]
+    picked = words if len(sparse) == n else words[sparse]
+    some = np.flatnonzero(picked)  # words that aren't empty
+    member = np.flatnonzero(np.unpackbits(picked.reshape(-1)[some].view(np.uint8), bitorder="little").view(bool))
+    values = (some[member >> 6] << 6 | member & 63).astype(np.uint16)
+    if len(sparse) == n:
+        return Stack(kind, card, start, values)
     first = np.cumsum(card[sparse]) - card[sparse]
-    data[np.repeat(start[sparse] - first, card[sparse]) + np.arange(len(row))] = (which[w] * 64 + bit).astype(np.uint16)
+    data[np.repeat(start[sparse] - first, card[sparse]) + np.arange(len(values))] = values
     for i in np.flatnonzero(kind == C.BITMAP).tolist():
         data[start[i] : start[i] + UNITS] = words[i].view(np.uint16)
     return Stack(kind, card, start, data)
@@ -136,8 +145,32 @@ def set_words(member: np.ndarray, rows: int, words: np.ndarray | None = None) ->
 
 
 def merged(a: np.ndarray, b: np.ndarray) -> np.ndarray:
-    """Two sorted lists as one; the sort finds the two runs and merges them."""
-    return np.sort(np.concatenate([a, b]), kind="stable")
+    """Two sorted lists as one. The general sort is vectorised, and faster than one that looks for runs."""
+    return np.sort(np.concatenate([a, b]))
+
+
+def marked(x: np.ndarray, y: np.ndarray, rows: int) -> np.ndarray:
+    """What two lists share, by marks for the values of one: cheaper than a sort where containers hold many values."""
+    out = []
+    for first in range(0, rows, AT_ONCE):
+        (a, b), (c, d) = (np.searchsorted(z, [first << 16, min(first + AT_ONCE, rows) << 16]) for z in (x, y))
+        flags = np.zeros(min(AT_ONCE, rows - first) << 16, bool)
+        flags[x[a:b] - np.uint32(first << 16)] = True
+        out.append(y[c:d][flags[y[c:d] - np.uint32(first << 16)]])
+    return np.concatenate(out)
+
+
+def either_words(x: np.ndarray, y: np.ndarray, rows: int) -> np.ndarray:
+    """Rows of words with the bits of both lists set."""
+    out = np.empty((rows, C.WORDS), np.uint64)
+    for first in range(0, rows, AT_ONCE):
+        n = min(AT_ONCE, rows - first)
+        flags = np.zeros(n << 16, np.uint8)
+        for z in (x, y):
+            a, b = np.searchsorted(z, [first << 16, first + n << 16])
+            flags[z[a:b] - np.uint32(first << 16)] = 1
+        out[first : first + n] = np.packbits(flags, bitorder="little").view(np.uint64).reshape(n, C.WORDS)
+    return out
 
 
 def and_arrays(a: Stack, b: Stack, method: str = "auto") -> Stack:
@@ -150,8 +183,9 @@ def and_arrays(a: Stack, b: Stack, method: str = "auto") -> Stack:
         (x, _), (y, _) = a.take(rows).values(), b.take(rows).values()
         if halving:
             x, y = (x, y) if len(x) <= len(y) else (y, x)
-            at = np.searchsorted(y, x)
-            both = x[np.append(y, -1)[at] == x]
+            both = x[y[np.minimum(np.searchsorted(y, x), len(y) - 1)] == x] if len(y) else x[:0]
+        elif len(x) + len(y) >= MARKED * len(rows):
+            both = marked(x, y, len(rows))
         else:
             all_ = merged(x, y)
             both = all_[:-1][all_[1:] == all_[:-1]]
@@ -172,15 +206,17 @@ def or_arrays(a: Stack, b: Stack, predict: bool = True) -> Stack:
     for rows, by_merge in ((np.flatnonzero(small), True), (np.flatnonzero(~small), False)):
         if not len(rows):
             continue
-        all_ = merged(a.take(rows).values()[0], b.take(rows).values()[0])
-        all_ = all_[np.append(True, all_[1:] != all_[:-1])] if len(all_) else all_
-        s = of_arrays(all_, len(rows))
-        large = s.card > C.ARRAY_MOST
-        if by_merge and not large.any():
+        x, y = a.take(rows).values()[0], b.take(rows).values()[0]
+        if by_merge:
+            all_ = merged(x, y)
+            all_ = all_[np.append(True, all_[1:] != all_[:-1])] if len(all_) else all_
+            s = of_arrays(all_, len(rows))
+            if (s.card > C.ARRAY_MOST).any():  # not predicted: converted afterwards
+                s = of_words(set_words(all_, len(rows)), s.card)
             found.append((rows, s))
             continue
-        words = set_words(all_, len(rows))
-        found.append((rows, of_words(words, s.card)))
+        words = either_words(x, y, len(rows))
+        found.append((rows, of_words(words, np.bitwise_count(words).sum(1, dtype=np.int64))))
     return joined(found, n)
 
 
@@ -211,7 +247,7 @@ def union(a: Stack, b: Stack, predict: bool = True) -> Stack:
             (member, row), dense = sparse.take(rows).values(), dense.take(rows)
             low = member & 65535
             old = dense.data[dense.start[row] + (low >> 4)] >> (low & 15).astype(np.uint16) & 1
-            words = set_words(member, len(rows), dense.words().copy())
+            words = set_words(member, len(rows), dense.words(own=True))
             found.append((rows, of_words(words, dense.card + np.bincount(row[old == 0], minlength=len(rows)))))
     if len(rows := np.flatnonzero(both == 0)):
         found.append((rows, or_arrays(a.take(rows), b.take(rows), predict)))
@@ -248,8 +284,7 @@ class Packed:
         found = []
         for chosen in (~dense, dense):
             at = np.flatnonzero(chosen)
-            member = (np.cumsum(chosen) - 1)[rows] << 16 | ids & 65535
-            member = member[chosen[rows]]
+            member = ((np.cumsum(chosen) - 1)[rows] << 16 | ids & 65535)[chosen[rows]].astype(np.uint32)
             found.append((at, of_words(set_words(member, len(at)), card[at]) if chosen is dense else of_arrays(member, len(at))))
         return Packed(keys, joined(found, len(keys)))
 
