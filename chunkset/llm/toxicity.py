@@ -31,7 +31,7 @@ LOOKS = {"0": "o", "1": "il", "2": "z", "3": "e", "4": "a", "5": "s", "6": "g",
 SIGN_COST, DROP_COST, DOUBLE_COST, SPACE_COST = 0.7, 12.0, 1.0, 3.0
 LETTER = r"[^\W\d_]"
 WORD = re.compile(f"{LETTER}+")
-INSIDE = re.compile(rf"(?:{LETTER}[0-9@$!|+€(*#¡]+(?={LETTER})|(?<!\S)[0-9@$|+€¡]+(?={LETTER}{{2}})|{LETTER}{{2}}[0-9$]+(?![^\s.,;:!?)]))")
+SIGNS, FIRST_SIGNS, LAST_SIGNS = re.compile(r"[0-9@$!|+€(*#¡]+"), re.compile(r"[0-9@$|+€¡]+"), re.compile(r"[0-9$]+(?![^\s.,;:!?)])")
 ONE, GAP = rf"(?:{LETTER}|[0-9@$!|+€(#¡])", r"(?:[ ._*,-]|\s)"
 APART = re.compile(rf"(?<![^\W_]){ONE}(?:{GAP}+{ONE}){{2,}}(?![^\W_])")
 REPEATED = re.compile(rf"({LETTER})\1\1")
@@ -96,6 +96,18 @@ def lattice(span: str) -> Iterator[list[tuple[str, float]]]:
             yield [("", 0.0), (" ", SPACE_COST)]
 
 
+def inside(text: str) -> Iterator[int]:
+    """Where signs stand in words: between letters, before two at a token's start, after two at a word's end."""
+    for m in SIGNS.finditer(text):
+        a, b = m.span()
+        letter = a > 0 and text[a - 1].isalpha()
+        if letter:
+            if text[b : b + 1].isalpha() or a > 1 and text[a - 2].isalpha() and LAST_SIGNS.match(text, a):
+                yield a
+        elif (not a or text[a - 1].isspace()) and text[b : b + 1].isalpha() and text[b + 1 : b + 2].isalpha() and FIRST_SIGNS.fullmatch(text, a, b):
+            yield a
+
+
 def class_of(x: str) -> int:
     return int(CLASS_OF[ord(x)]) if ord(x) < 0x250 else CLASSES - 1
 
@@ -157,10 +169,9 @@ class Restorer:
         """(start, end, what stands there) of each disguised span."""
         taken = -1
         ends = {m.start(): m.end() for m in APART.finditer(text) if any(map(str.isalpha, m.group()))}
-        for pattern in (INSIDE, REPEATED):
-            seen = -1  # matches come in order, and none reaches past its token: each token is looked at once
-            for m in pattern.finditer(text):
-                a = m.start()
+        for places in (inside(text), (m.start() for m in REPEATED.finditer(text))):
+            seen = -1  # places come in order, and none reaches past its token: each token is looked at once
+            for a in places:
                 if a < seen:
                     continue
                 seen = b = TOKEN.match(text, a).end()
