@@ -16,7 +16,7 @@ from chunkset.functions import containers as C
 
 UNITS = 4 * C.WORDS  # 16-bit units of a bitmap
 #: Values a pair of containers from which marks beat a sort; containers that are marked at once.
-MARKED, AT_ONCE = 700, 32
+MARKED, AT_ONCE = 3000, 32
 
 
 @dataclass
