@@ -206,8 +206,9 @@ def flips(width: int, radius: int) -> np.ndarray:
 
 def keys(fps: DataFrame, groups: list[list[int]], counts: list[np.ndarray], distance: int) -> DataFrame:
     """(part, value, fp, probe): a stored row for each partition, and the probe rows. A probe at radius 0 is its stored row."""
-    most = max(0, distance - len(groups) + 1 + len(groups))
-    met = [met_at_radius(c, min(most, 2)) for c in counts]
+    goal = distance - len(groups) + 1
+    most = max(min(distance + 1, 2), -(-goal // len(groups)))  # radii of 2 do, unless the goal asks for more of every partition
+    met = [met_at_radius(c, most) for c in counts]
     shared = fps.sparkSession.sparkContext.broadcast((groups, met))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

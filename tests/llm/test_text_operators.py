@@ -227,7 +227,7 @@ def classes_by_hand(fps, distance):
         low = new
 
 
-@pytest.mark.parametrize(("distance", "parts"), [(3, 4), (7, 4), (3, 3), (5, 6)])
+@pytest.mark.parametrize(("distance", "parts"), [(3, 4), (7, 4), (3, 3), (5, 6), (13, 4)])
 def test_simhash_classes(spark, distance, parts):
     r = random.Random(6)
     words = [f"w{i}" for i in range(400)]
