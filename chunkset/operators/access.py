@@ -62,15 +62,17 @@ def _before(containers: DataFrame) -> DataFrame:
 def rank(containers: DataFrame, queries: DataFrame) -> DataFrame:
     """(set_id, id, rank) for queries (set_id, id): members at most id. Counters give the chunks below, one container the rest.
 
-    A query falls between two keys of its set; each counter row covers the keys up to the next one, and queries find
-    theirs by a sort-merge over both (a union and a last-value window), not by a range join.
+    A query falls between two keys of its set; each counter row covers the keys up to the next one. The keys that are asked for find
+    theirs by a sort-merge over both (a union and a last-value window), not by a range join; queries then join by key, so that a set
+    that many ask about fills no window.
     """
     key, low = split_id(F.col("id"))
-    q = queries.select("set_id", F.col("id").alias("q"), key.alias("key"), low.alias("low"), F.lit(1).alias("side"), F.lit(None).cast("int").alias("card"), F.lit(None).cast("long").alias("before"))
-    c = _before(containers).select("set_id", F.lit(None).cast("long").alias("q"), "key", F.lit(None).cast("int").alias("low"), F.lit(0).alias("side"), "card", "before")
+    asked = queries.select("set_id", F.col("id").alias("q"), key.alias("key"), low.alias("low"))
+    q = asked.select("set_id", "key").distinct().select("set_id", "key", F.lit(1).alias("side"), F.lit(None).cast("int").alias("card"), F.lit(None).cast("long").alias("before"))
+    c = _before(containers).select("set_id", "key", F.lit(0).alias("side"), "card", "before")
     w = W.partitionBy("set_id").orderBy("key", "side").rowsBetween(W.unboundedPreceding, 0)
-    last = c.union(q).select("set_id", "q", "key", "low", *[F.last(F.when(F.col("side") == 0, F.col(x)), ignorenulls=True).over(w).alias(f"last_{x}") for x in ("key", "card", "before")]).filter("q is not null")
-    hit = last.join(containers.select("set_id", "key", "kind", "payload"), ["set_id", "key"], "left")
+    last = c.union(q).select("set_id", "key", "side", *[F.last(F.when(F.col("side") == 0, F.col(x)), ignorenulls=True).over(w).alias(f"last_{x}") for x in ("key", "card", "before")]).filter("side = 1").drop("side")
+    hit = asked.join(last, ["set_id", "key"]).join(containers.select("set_id", "key", "kind", "payload"), ["set_id", "key"], "left")
 
     def count(r: dict):
         if r["last_key"] is None:
