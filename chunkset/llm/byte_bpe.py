@@ -15,6 +15,7 @@ from __future__ import annotations
 import base64
 import hashlib
 import re
+import struct
 from collections.abc import Iterator
 from functools import lru_cache
 from heapq import heappop, heappush
@@ -29,7 +30,7 @@ from chunkset.llm.common import Memo, bounded_text, parts, raw, read, small_batc
 #: Unicode White_Space; a cell is a run of it and the run of other characters after it. Every pre-token ends with its cell.
 SPACE = "\t-\r \x85\xa0" + "".join(map(chr, (0x1680, *range(0x2000, 0x200B), 0x2028, 0x2029, 0x202F, 0x205F, 0x3000)))
 CELL = re.compile(f"[{SPACE}]*[^{SPACE}]+|[{SPACE}]+")
-CACHED_BYTES, CACHED_CHARS = 16 << 20, 64
+CACHED_BYTES, CACHED_CHARS = 48 << 20, 64
 
 
 def merge_ranked(piece: bytes, ranks: dict[bytes, int]) -> list[int]:
@@ -112,24 +113,25 @@ class Codec:
         for token, i in self.ranks.items():
             self.bytes_of[i] = token
         self.pieces = regex.compile(pattern).findall
-        self.by_cell = Memo(CACHED_BYTES, self.encode_cell)
-        self.by_piece = Memo(CACHED_BYTES, self.encode_piece)
+        self.memo = Memo(CACHED_BYTES, self.encode_cell)  # of cells and pieces alike: a piece on its own is a cell of one piece
 
     def encode_piece(self, piece: str) -> bytes:
-        return np.array(merge_ranked(piece.encode(), self.ranks), "<u4").tobytes()
+        return struct.pack(f"<{len(ids := merge_ranked(piece.encode(), self.ranks))}I", *ids)
 
     def encode_cell(self, cell: str) -> bytes:
-        memo, out = self.by_piece, []
-        for piece in self.pieces(cell):
+        memo, out, pieces = self.memo, [], self.pieces(cell)
+        if len(pieces) == 1:
+            return self.encode_piece(cell)
+        for piece in pieces:
             ids = memo.young.get(piece)
             if ids is None:
-                ids = memo.find(piece) if len(piece) <= CACHED_CHARS else self.encode_piece(piece)
+                ids = memo.find(piece, self.encode_piece) if len(piece) <= CACHED_CHARS else self.encode_piece(piece)
             out.append(ids)
         return b"".join(out)
 
     def encode(self, text: str) -> bytes:
         """Ids as little-endian unsigned 32-bit integers."""
-        memo, out = self.by_cell, []
+        memo, out = self.memo, []
         for cell in CELL.findall(text):
             ids = memo.young.get(cell)
             if ids is None:

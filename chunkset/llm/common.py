@@ -109,11 +109,11 @@ class Memo:
     def __init__(self, most_bytes: int, make: Callable):
         self.most, self.room, self.make, self.young, self.old = most_bytes, most_bytes, make, {}, {}
 
-    def find(self, key):
-        """For keys that self.young lacks."""
+    def find(self, key, make: Callable | None = None):
+        """For keys that self.young lacks; make, if given, instead of the cache's own."""
         value = self.old.get(key)
         if value is None:
-            value = self.make(key)
+            value = (make or self.make)(key)
         if self.room <= 0:
             self.young, self.old, self.room = {}, self.young, self.most
         self.young[key] = value

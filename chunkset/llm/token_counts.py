@@ -32,7 +32,7 @@ from pyspark.sql import functions as F
 from chunkset.llm.byte_bpe import CELL, vocabulary_path
 from chunkset.llm.common import Memo, bounded_text, parts, raw, read, saved, small_batches
 
-MAX_STATES, CACHED_BYTES, CACHED_CHARS, CHUNK_CHARS = 200_000, 24 << 20, 64, 1 << 16
+MAX_STATES, CACHED_BYTES, CACHED_CHARS, CHUNK_CHARS = 200_000, 48 << 20, 64, 1 << 16
 INNER = (b"", ((-1, 0),))
 CLASSES = {"L": r"\p{L}", "N": r"\p{N}", "P": r"[^\s\p{L}\p{N}]"}
 
