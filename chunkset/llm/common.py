@@ -222,7 +222,8 @@ def components(links: DataFrame, u: str = "u", v: str = "v") -> DataFrame:
 
     Links are first shrunk to spanning stars inside each partition; then rounds of star contraction alternate
     (each node's larger neighbours move to its smallest one, then its smaller ones do), each round written to the
-    shared folder, until nothing changes. Only aggregates and joins that Spark can split touch a hot node.
+    shared folder, until nothing changes. Only aggregates that combine first and joins that Spark can split touch a hot node: the smallest
+    neighbours are written before the join, as a join right after an aggregate by the same key would bring a node's links to one task.
     """
 
     def shrink(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -247,15 +248,15 @@ def components(links: DataFrame, u: str = "u", v: str = "v") -> DataFrame:
     while True:
         # larger neighbours to the smallest neighbour
         both = stars.select("u", "v").union(stars.select(F.col("v").alias("u"), F.col("u").alias("v")))
-        least = both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"))
+        least = saved(both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m")), "links")
         large = both.filter("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
         large = saved(large, "links")
-        discard(stars)
+        discard(stars, least)
         # smaller neighbours, and the node itself, to the smallest
-        least = large.groupBy("u").agg(F.min("v").alias("m"))
+        least = saved(large.groupBy("u").agg(F.min("v").alias("m")), "links")
         small = large.join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).filter("u <> v")
         stars = saved(small.union(least.select("u", F.col("m").alias("v"))).distinct(), "links")
-        discard(large)
+        discard(large, least)
         now = stars.agg(F.count(F.lit(1)), F.sum(F.xxhash64("u", "v").cast("decimal(20,0)"))).first()
         if now == seen:
             break
