@@ -37,10 +37,28 @@ def plain_pairs(ids: DataFrame, pairs: DataFrame, op: str) -> DataFrame:
 
 
 def doubled_capacity(ids: DataFrame) -> DataFrame:
-    """(set_id, words): capacity after the ids have come in ascending order, doubled whenever it doesn't do."""
-    steps = ids.groupBy("set_id", F.shiftright("id", 6).alias("w")).count().groupBy("set_id").agg(F.sort_array(F.collect_list(F.col("w") + 1)).alias("needs"))
-    grown = F.aggregate("needs", F.lit(1).cast("long"), lambda acc, need: F.when(need > acc, F.greatest(acc * 2, need)).otherwise(acc))
-    return steps.select("set_id", grown.alias("words"))
+    """(set_id, words): capacity after the ids have come in ascending order, doubled whenever it doesn't do. A set streams through its task
+    in order; nothing of it is held but the capacity."""
+    needs = plain_words(ids).select("set_id", (F.col("widx") + 1).alias("need"))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        name, words = None, 1
+        for b in batches:
+            if not b.num_rows:
+                continue
+            names, need = b.column(0).dictionary_encode(), b.column(1).to_numpy()
+            cuts = np.append(np.flatnonzero(np.diff(names.indices.to_numpy(), prepend=-1)), len(need))
+            for x, y in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True):
+                if b.column(0)[x].as_py() != name:
+                    if name is not None:
+                        yield pa.RecordBatch.from_arrays([pa.array([name]), pa.array([words])], ["set_id", "words"])
+                    name, words = b.column(0)[x].as_py(), 1
+                while (x := x + int(np.searchsorted(need[x:y], words, side="right"))) < y:
+                    words = max(2 * words, int(need[x]))
+        if name is not None:
+            yield pa.RecordBatch.from_arrays([pa.array([name]), pa.array([words])], ["set_id", "words"])
+
+    return needs.repartition("set_id").sortWithinPartitions("set_id", "need").mapInArrow(run, "set_id string, words long")
 
 
 # -- runs as rows --------------------------------------------------------------------------------------------------

@@ -46,6 +46,18 @@ def build(ids: DataFrame, universe_bits: int = 32) -> DataFrame:
     return rows.mapInArrow(pack_words, schema(universe_bits))
 
 
+def build_kernel(ids: DataFrame, universe_bits: int = 32) -> DataFrame:
+    """The same by way of the values themselves: a chunk's distinct low bits, 65,536 at most, meet in one task and are packed there."""
+    key, low = split_id(F.col("id"), universe_bits)
+    rows = checked(ids, universe_bits).select("set_id", key.alias("key"), low.alias("low")).distinct()
+
+    def pack(table: pa.Table) -> pa.Table:
+        box = C.from_values(np.sort(table.column("low").to_numpy()))
+        return pa.table({"set_id": table.column("set_id").slice(0, 1), "key": table.column("key").slice(0, 1), "kind": pa.array([box.kind], pa.int8()), "card": pa.array([box.card], pa.int32()), "payload": pa.array([box.payload], pa.binary())})
+
+    return rows.groupBy("set_id", "key").applyInArrow(pack, schema(universe_bits))
+
+
 def run_starts(*cols: np.ndarray) -> np.ndarray:
     n = len(cols[0])
     new = np.zeros(n, bool)

@@ -165,6 +165,11 @@ def build_words_card(spark, sf_dir):
     return B.words(slots(spark, sf_dir)).groupBy("set_id").agg(F.sum(F.bit_count("word")).cast("long").alias("card"))
 
 
+@query(f"WITH {SLOT_IDS} SELECT set_id AS pair, {SHAPE} FROM ids GROUP BY set_id, id>>16")
+def build_kernel(spark, sf_dir):
+    return shape(B.build_kernel(slots(spark, sf_dir)))
+
+
 @query(CARD_SQL)
 def build_halves_card(spark, sf_dir):
     return B.build_halves(slots(spark, sf_dir)).groupBy("set_id").agg(F.sum("card").alias("card"))
@@ -434,7 +439,8 @@ def plain_encode_size(spark, sf_dir):
     return baselines.plain_sizes(slots(spark, sf_dir))
 
 
-@query()
+@query(f"""WITH {SLOT_IDS}, w AS (SELECT DISTINCT set_id, (id>>6)+1 AS w FROM ids)
+SELECT set_id, CAST(list_reduce(list_prepend(CAST(1 AS BIGINT), list(CAST(w AS BIGINT) ORDER BY w)), lambda a, x: CASE WHEN x>a THEN greatest(2*a, x) ELSE a END) AS BIGINT) AS words FROM w GROUP BY 1""")
 def plain_doubling_size(spark, sf_dir):
     return baselines.doubled_capacity(slots(spark, sf_dir))
 
