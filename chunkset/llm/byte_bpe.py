@@ -30,7 +30,7 @@ from chunkset.llm.common import Memo, bounded_text, parts, raw, read, small_batc
 #: Unicode White_Space; a cell is a run of it and the run of other characters after it. Every pre-token ends with its cell.
 SPACE = "\t-\r \x85\xa0" + "".join(map(chr, (0x1680, *range(0x2000, 0x200B), 0x2028, 0x2029, 0x202F, 0x205F, 0x3000)))
 CELL = re.compile(f"[{SPACE}]*[^{SPACE}]+|[{SPACE}]+")
-CACHED_BYTES, CACHED_CHARS = 48 << 20, 64
+CACHED_BYTES, CACHED_CHARS = 96 << 20, 64  # a generation, of which a worker keeps two
 
 
 def merge_ranked(piece: bytes, ranks: dict[bytes, int]) -> list[int]:
@@ -104,7 +104,7 @@ def merge_ranked(piece: bytes, ranks: dict[bytes, int]) -> list[int]:
 class Codec:
     """Encoder and decoder for one vocabulary; remembers short cells and pieces, up to a bound."""
 
-    def __init__(self, path: str, pattern: str):
+    def __init__(self, path: str, pattern: str, cached_bytes: int = CACHED_BYTES):
         import regex
 
         with open(path, "rb") as f:
@@ -113,7 +113,7 @@ class Codec:
         for token, i in self.ranks.items():
             self.bytes_of[i] = token
         self.pieces = regex.compile(pattern).findall
-        self.memo = Memo(CACHED_BYTES, self.encode_cell)  # of cells and pieces alike: a piece on its own is a cell of one piece
+        self.memo = Memo(cached_bytes, self.encode_cell)  # of cells and pieces alike: a piece on its own is a cell of one piece
 
     def encode_piece(self, piece: str) -> bytes:
         return struct.pack(f"<{len(ids := merge_ranked(piece.encode(), self.ranks))}I", *ids)
@@ -151,19 +151,19 @@ def vocabulary_path(name: str) -> str:
 
 
 @lru_cache(maxsize=2)
-def codec(name: str) -> Codec:
+def codec(name: str, cached_bytes: int = CACHED_BYTES) -> Codec:
     import public_tokenizers
 
-    return Codec(vocabulary_path(name), public_tokenizers.PATTERN)
+    return Codec(vocabulary_path(name), public_tokenizers.PATTERN, cached_bytes)
 
 
-def _apply(df: DataFrame, text_col: str, added: dict[str, str], per_text, vocabulary: str) -> DataFrame:
+def _apply(df: DataFrame, text_col: str, added: dict[str, str], per_text, vocabulary: str, cached_bytes: int = CACHED_BYTES) -> DataFrame:
     keep = [c for c in df.columns if c != text_col and c not in added]
     schema = ", ".join([f"`{c}` {df.schema[c].dataType.simpleString()}" for c in keep] + [f"{c} {t}" for c, t in added.items()])
     kinds = {"long": pa.int64(), "binary": pa.binary(), "string": pa.string()}
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        c = codec(vocabulary)
+        c = codec(vocabulary, cached_bytes)
         for b in parts(batches, len(keep)):
             rows = [per_text(c, raw(x)) for x in b.column(len(keep))]
             new = [pa.array([r[i] for r in rows], kinds[t]) for i, t in enumerate(added.values())]
@@ -172,14 +172,14 @@ def _apply(df: DataFrame, text_col: str, added: dict[str, str], per_text, vocabu
     return small_batches(df).select(*[F.col(f"`{c}`") for c in keep], bounded_text(text_col)).mapInArrow(tidy(run), schema)
 
 
-def encode_texts(df: DataFrame, text_col: str = "text", vocabulary: str = "byte_bpe_50k.tiktoken") -> DataFrame:
+def encode_texts(df: DataFrame, text_col: str = "text", vocabulary: str = "byte_bpe_50k.tiktoken", cached_bytes: int = CACHED_BYTES) -> DataFrame:
     """Every column but the text, n_tokens and token_ids (little-endian unsigned 32-bit integers)."""
 
     def one(c: Codec, x: bytes):
         ids = c.encode(x.decode("utf-8", "replace"))
         return len(ids) // 4, ids
 
-    return _apply(df, text_col, {"n_tokens": "long", "token_ids": "binary"}, one, vocabulary)
+    return _apply(df, text_col, {"n_tokens": "long", "token_ids": "binary"}, one, vocabulary, cached_bytes)
 
 
 def decode_ids(df: DataFrame, ids_col: str = "token_ids", vocabulary: str = "byte_bpe_50k.tiktoken") -> DataFrame:
