@@ -157,7 +157,7 @@ def codec(name: str, cached_bytes: int = CACHED_BYTES) -> Codec:
     return Codec(vocabulary_path(name), public_tokenizers.PATTERN, cached_bytes)
 
 
-def _apply(df: DataFrame, text_col: str, added: dict[str, str], per_text, vocabulary: str, cached_bytes: int = CACHED_BYTES) -> DataFrame:
+def _apply(df: DataFrame, text_col: str, added: dict[str, str], per_text, vocabulary: str, cached_bytes: int = CACHED_BYTES, forget: bool = False) -> DataFrame:
     keep = [c for c in df.columns if c != text_col and c not in added]
     schema = ", ".join([f"`{c}` {df.schema[c].dataType.simpleString()}" for c in keep] + [f"{c} {t}" for c, t in added.items()])
     kinds = {"long": pa.int64(), "binary": pa.binary(), "string": pa.string()}
@@ -168,18 +168,20 @@ def _apply(df: DataFrame, text_col: str, added: dict[str, str], per_text, vocabu
             rows = [per_text(c, raw(x)) for x in b.column(len(keep))]
             new = [pa.array([r[i] for r in rows], kinds[t]) for i, t in enumerate(added.values())]
             yield pa.RecordBatch.from_arrays([*b.columns[:-1], *new], [*keep, *added])
+        if forget:
+            c.memo.clear()
 
     return small_batches(df).select(*[F.col(f"`{c}`") for c in keep], bounded_text(text_col)).mapInArrow(tidy(run), schema)
 
 
-def encode_texts(df: DataFrame, text_col: str = "text", vocabulary: str = "byte_bpe_50k.tiktoken", cached_bytes: int = CACHED_BYTES) -> DataFrame:
-    """Every column but the text, n_tokens and token_ids (little-endian unsigned 32-bit integers)."""
+def encode_texts(df: DataFrame, text_col: str = "text", vocabulary: str = "byte_bpe_50k.tiktoken", cached_bytes: int = CACHED_BYTES, forget: bool = False) -> DataFrame:
+    """Every column but the text, n_tokens and token_ids (little-endian unsigned 32-bit integers). forget: workers drop their caches after each task."""
 
     def one(c: Codec, x: bytes):
         ids = c.encode(x.decode("utf-8", "replace"))
         return len(ids) // 4, ids
 
-    return _apply(df, text_col, {"n_tokens": "long", "token_ids": "binary"}, one, vocabulary, cached_bytes)
+    return _apply(df, text_col, {"n_tokens": "long", "token_ids": "binary"}, one, vocabulary, cached_bytes, forget)
 
 
 def decode_ids(df: DataFrame, ids_col: str = "token_ids", vocabulary: str = "byte_bpe_50k.tiktoken") -> DataFrame:

@@ -109,6 +109,9 @@ class Memo:
     def __init__(self, most_bytes: int, make: Callable):
         self.most, self.room, self.make, self.young, self.old = most_bytes, most_bytes, make, {}, {}
 
+    def clear(self) -> None:
+        self.young, self.old, self.room = {}, {}, self.most
+
     def find(self, key, make: Callable | None = None):
         """For keys that self.young lacks; make, if given, instead of the cache's own."""
         value = self.old.get(key)
