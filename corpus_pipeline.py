@@ -12,8 +12,8 @@ from chunkset.llm.privacy import either_way
 COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 #: Near copies share so much of their five-word shingles.
 SIMILARITY = 0.8
-#: Workers of earlier stages stay for a while, so that the encoder's caches are half as large as alone.
-CACHED_BYTES = 48 << 20
+#: Spark keeps the workers of earlier stages for a while: the encoder's caches are small here, and dropped after each task.
+CACHED_BYTES = 24 << 20
 
 
 def drop_low_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -56,7 +56,7 @@ def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def tokenise(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """doc_id, lang, source, and the text as token ids, which decode to it; a null text has no ids. Repeated rows are encoded again."""
-    coded = byte_bpe.encode_texts(docs.select("doc_id", "lang", "source", "text"), cached_bytes=CACHED_BYTES)
+    coded = byte_bpe.encode_texts(docs.select("doc_id", "lang", "source", "text"), cached_bytes=CACHED_BYTES, forget=True)
     return coded.withColumn("ids_sha256", F.sha2("token_ids", 256))
 
 
