@@ -2,6 +2,9 @@
 
 import datetime
 
+from pyspark.sql import functions as F
+
+from chunkset.operators import build as B
 from chunkset.plans import catalog
 
 
@@ -23,3 +26,16 @@ def test_top_sets_keeps_all_ties(spark, tmp_path):
     spark.createDataFrame([(1, text), (2, "w0 w1")], "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
     got = {r["set_id"]: (r["card"], r["rk"]) for r in catalog.top_sets(spark, str(tmp_path)).collect()}
     assert got == {f"w{i}": (2, 1) if i < 2 else (1, 3) for i in range(1500)}
+
+
+def test_values_are_packed_many_chunks_a_call(spark):
+    n = 70_000  # more values than a call holds: chunks are cut by no call
+    ids = spark.range(n).select(F.concat(F.lit("s"), (F.col("id") % 9_000).cast("string")).alias("set_id"), (F.col("id") * 40).alias("id"))
+    ids = ids.union(spark.range(n).select(F.lit("dense"), F.col("id"))).union(spark.createDataFrame([("dense", 7), ("dense", 7), ("end", 2**32 - 1)], ids.schema))
+    made = B.build_kernel(ids)
+    plan = made._jdf.queryExecution().executedPlan().toString()
+    assert "MapInArrow" in plan and "FlatMapGroups" not in plan
+    columns = ["set_id", "key", "kind", "card", "payload"]
+    rows = lambda df: sorted(tuple(r) for r in df.select(*columns).collect())
+    got = rows(made)
+    assert got == rows(B.build(ids)) and len({(r[0], r[1]) for r in got}) == len(got)
