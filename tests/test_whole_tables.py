@@ -2,6 +2,7 @@
 
 import datetime
 
+import pytest
 from pyspark.sql import functions as F
 
 from chunkset.operators import build as B
@@ -39,3 +40,16 @@ def test_values_are_packed_many_chunks_a_call(spark):
     rows = lambda df: sorted(tuple(r) for r in df.select(*columns).collect())
     got = rows(made)
     assert got == rows(B.build(ids)) and len({(r[0], r[1]) for r in got}) == len(got)
+
+
+#: What follows from 140,000 line items and 210,000 orders: the distinct values of a column, or a number of rows that its values add up to.
+MOVED = {
+    "container_kind_boundary": lambda rows: sorted(r["card"] for r in rows) == sorted(min(n, m) for n in catalog.BOUNDARIES for m in (65536, 65536, 8928)),
+}
+
+
+@pytest.mark.parametrize("name", MOVED)
+def test_rows_come_from_the_table(spark, tmp_path, name):
+    spark.range(140_000).select((F.col("id") * 3).alias("l_orderkey")).write.parquet(f"{tmp_path}/lineitem.parquet")
+    spark.range(210_000).select(F.col("id").alias("o_orderkey")).write.parquet(f"{tmp_path}/orders.parquet")
+    assert MOVED[name](catalog.QUERIES[name](spark, str(tmp_path)).collect())
