@@ -47,6 +47,7 @@ MOVED = {
     "container_kind_boundary": lambda rows: sorted(r["card"] for r in rows) == sorted(min(n, m) for n in catalog.BOUNDARIES for m in (65536, 65536, 8928)),
     "crossing_down": lambda rows: sorted((r["key"], r["kind"], r["card"]) for r in rows) == [(k, 0, 4096) for k in range(3)],
     "crossing_up": lambda rows: sorted((r["key"], r["kind"], r["card"]) for r in rows) == [(0, 1, 4097), (1, 1, 4097), (2, 0, 4096)],
+    "example_decode_sum": lambda rows: rows[0]["members"] == 140_000,
 }
 
 
