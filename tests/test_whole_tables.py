@@ -49,6 +49,7 @@ MOVED = {
     "crossing_up": lambda rows: sorted((r["key"], r["kind"], r["card"]) for r in rows) == [(0, 1, 4097), (1, 1, 4097), (2, 0, 4096)],
     "example_decode_sum": lambda rows: rows[0]["members"] == 140_000,
     "example_layout": lambda rows: [r["card"] for r in sorted(rows, key=lambda r: r["key"])] == [1000, 100, 32768] * 4 + [1000, 100, 3428],
+    "period_sizes": lambda rows: [r["card"] for r in rows] == [210_000, 210_000],
 }
 
 
