@@ -50,6 +50,7 @@ MOVED = {
     "example_decode_sum": lambda rows: rows[0]["members"] == 140_000,
     "example_layout": lambda rows: [r["card"] for r in sorted(rows, key=lambda r: r["key"])] == [1000, 100, 32768] * 4 + [1000, 100, 3428],
     "period_sizes": lambda rows: [r["card"] for r in rows] == [210_000, 210_000],
+    "syn_and": lambda rows: {int(r["pair"]) for r in rows} == {part * 16 + e for part in range(3) for e in (1, 4, 6)},
 }
 
 
