@@ -52,6 +52,7 @@ MOVED = {
     "period_sizes": lambda rows: [r["card"] for r in rows] == [210_000, 210_000],
     "syn_and": lambda rows: {int(r["pair"]) for r in rows} == {part * 16 + e for part in range(3) for e in (1, 4, 6)},
     "syn_beta_sizes": lambda rows: len(rows) == 24 and max(r["card"] for r in rows) <= 70_000,
+    "syn_or": lambda rows: {int(r["pair"]) for r in rows} == {part * 16 + e for part in range(3) for e in (1, 4, 6)},
 }
 
 
