@@ -54,6 +54,7 @@ MOVED = {
     "syn_beta_sizes": lambda rows: len(rows) == 24 and max(r["card"] for r in rows) <= 70_000,
     "syn_or": lambda rows: {int(r["pair"]) for r in rows} == {part * 16 + e for part in range(3) for e in (1, 4, 6)},
     "syn_uniform_sizes": lambda rows: len(rows) == 24 and max(r["card"] for r in rows) <= 70_000,
+    "toy_and_or": lambda rows: len(rows) == len(set(rows)) == 210_000 // 8 * 6,
 }
 
 
