@@ -2,20 +2,35 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+from functools import wraps
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from chunkset.llm import byte_bpe, mixing, near_copies, privacy, quality
-from chunkset.llm.common import discard, read, saved
+from chunkset.llm.common import BATCH_KEY, discard, read, saved
 from chunkset.llm.privacy import either_way
 
 COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 #: Near copies share so much of their five-word shingles.
 SIMILARITY = 0.8
-#: Spark keeps the workers of earlier stages for a while: the encoder's caches are small here, and dropped after each task.
-CACHED_BYTES = 24 << 20
+#: Spark keeps the workers of earlier stages for a while: the encoder's caches are small here, and dropped after each task, and Arrow batches are small too.
+CACHED_BYTES, BATCH_BYTES = 8 << 20, 1 << 20
+
+
+def sparing(stage: Callable[..., DataFrame]) -> Callable[..., DataFrame]:
+    """stage, for which Spark's Arrow batches hold BATCH_BYTES at most from then on."""
+
+    @wraps(stage)
+    def run(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+        spark.conf.set(BATCH_KEY, f"{BATCH_BYTES}b")  # small_batches leaves Spark's own default as it is
+        return stage(spark, docs, sf_dir)
+
+    return run
 
 
+@sparing
 def drop_low_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Fits on the labelled rows of docs that aren't held out; rows below a score of 0.5 go. Null and empty texts are scored as texts without words, a null
     n_chars is taken from the text, repeated rows score alike, null ids are scored too. Without labels every row scores 0.5 and stays."""
@@ -23,6 +38,7 @@ def drop_low_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
     return quality.score(docs.select(*COLUMNS), machine, with_text=True).filter("score >= 0.5").select(*COLUMNS)
 
 
+@sparing
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each group of near copies stays: the one with the smallest doc_id.
 
@@ -42,18 +58,21 @@ def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
     return kept.unionByName(one.select("doc_id", "row.*"))
 
 
+@sparing
 def hide_personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Every row of docs with its text sanitised and n_chars of the new text; a null text becomes the empty text. Repeated rows are sanitised alike,
     null ids and sources stay null."""
     return privacy.sanitise(docs.select(*COLUMNS)).withColumn("n_chars", F.length("text").cast("long"))
 
 
+@sparing
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Every document as often as the mix takes it. A null source is one of its own, the last; rows that repeat an id are documents of their own;
     a null or empty text has no words, and may be taken or not."""
     return mixing.mixed_rows(docs.select(*COLUMNS))
 
 
+@sparing
 def tokenise(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """doc_id, lang, source, and the text as token ids, which decode to it; a null text has no ids. Repeated rows are encoded again."""
     coded = byte_bpe.encode_texts(docs.select("doc_id", "lang", "source", "text"), cached_bytes=CACHED_BYTES, forget=True)
